@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, decontaminate, licenses, tokencounts
+from . import block_dedup, bpe, decontaminate, licenses, tokencounts
 from .common import read
 
 QUERIES, ORACLES = {}, {}
@@ -31,6 +31,11 @@ def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contamination(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")).drop("items", "runs")
 
 
+@query
+def op9_block_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return block_dedup.without_repeats(read(spark, sf_dir, "documents")).drop("text")
+
+
 @query
 def op10_license_notices(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.license_notices(read(spark, sf_dir, "documents")).drop("spans")
@@ -49,3 +54,15 @@ its AS (SELECT doc_id, count(DISTINCT item_id) AS n_items, string_agg(DISTINCT i
 SELECT dw.doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items, sha256(coalesce(l, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
 FROM dw LEFT JOIN cov USING (doc_id) LEFT JOIN its USING (doc_id)
 """
+
+ORACLES["op9_block_dedup"] = r"""
+WITH w AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+win AS (SELECT doc_id, i, array_to_string(w[i:i + 19], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, (len(w) - 18)::BIGINT)) AS i FROM w WHERE len(w) >= 20)),
+rep AS (SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY g ORDER BY doc_id, i) AS k FROM win) WHERE k > 1),
+gone AS (SELECT DISTINCT doc_id, unnest(range(i, i + 20)) AS p FROM rep),
+lists AS (SELECT doc_id, list(p) AS ps FROM gone GROUP BY doc_id),
+word AS (SELECT doc_id, w, unnest(range(1, (len(w) + 1)::BIGINT)) AS p FROM w),
+kept AS (SELECT word.doc_id, string_agg(w[p], ' ' ORDER BY p) AS t FROM word ANTI JOIN gone USING (doc_id, p) GROUP BY word.doc_id)
+SELECT w.doc_id, len(w)::BIGINT AS n_words, coalesce(len(ps), 0)::BIGINT AS n_removed, sha256(coalesce(t, '')) AS kept_sha256
+FROM w LEFT JOIN lists USING (doc_id) LEFT JOIN kept USING (doc_id)
+"""
