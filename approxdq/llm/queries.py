@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import block_dedup, bpe, decontaminate, licenses, tokencounts
+from . import block_dedup, bpe, decontaminate, licenses, suffix_dedup, tokencounts
 from .common import read
 
 QUERIES, ORACLES = {}, {}
@@ -16,6 +16,11 @@ def query(f):
     return f
 
 
+@query
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.without_repeats(read(spark, sf_dir, "documents")).drop("spans")
+
+
 @query
 def op2_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
@@ -66,3 +71,15 @@ kept AS (SELECT word.doc_id, string_agg(w[p], ' ' ORDER BY p) AS t FROM word ANT
 SELECT w.doc_id, len(w)::BIGINT AS n_words, coalesce(len(ps), 0)::BIGINT AS n_removed, sha256(coalesce(t, '')) AS kept_sha256
 FROM w LEFT JOIN lists USING (doc_id) LEFT JOIN kept USING (doc_id)
 """
+
+ORACLES["op1_suffix_dedup"] = r"""
+WITH h AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h, octet_length(encode(coalesce(text, '')))::BIGINT AS n FROM documents),
+win AS (SELECT doc_id, i, h[2 * i + 1:2 * i + 100] AS g FROM (SELECT doc_id, h, unnest(range(0, n - 49)) AS i FROM h WHERE n >= 50)),
+rep AS (SELECT doc_id, i FROM (SELECT doc_id, i, min(doc_id) OVER (PARTITION BY g) AS d FROM win) WHERE d < doc_id),
+edge AS (SELECT doc_id, i, coalesce(i > 50 + lag(i) OVER (PARTITION BY doc_id ORDER BY i), true) AS opens FROM rep),
+run AS (SELECT doc_id, min(i) AS a, max(i) + 50 AS b FROM (SELECT doc_id, i, sum(opens::INT) OVER (PARTITION BY doc_id ORDER BY i) AS k FROM edge) GROUP BY doc_id, k),
+runs AS (SELECT doc_id, list(a ORDER BY a) AS xs, list(b ORDER BY a) AS ys, count(*) AS n_spans, sum(b - a) AS n_removed FROM run GROUP BY doc_id)
+SELECT h.doc_id, n AS n_bytes, coalesce(n_removed, 0)::BIGINT AS n_removed, coalesce(n_spans, 0)::BIGINT AS n_spans,
+  sha256(CASE WHEN xs IS NULL THEN unhex(h) ELSE unhex(array_to_string(list_transform(list_zip(list_prepend(0::BIGINT, ys), list_append(xs, n)), lambda z: h[2 * z[1] + 1:2 * z[2]]), '')) END) AS kept_sha256
+FROM h LEFT JOIN runs USING (doc_id)
+"""
