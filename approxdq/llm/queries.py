@@ -4,8 +4,9 @@ from __future__ import annotations
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import block_dedup, bpe, decontaminate, licenses, suffix_dedup, tokencounts
+from . import block_dedup, bpe, decontaminate, htmltext, langid, licenses, multi_index, suffix_dedup, tokencounts
 from .common import read
 
 QUERIES, ORACLES = {}, {}
@@ -31,11 +32,26 @@ def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokencounts.tokens_by_section(read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN, rule="first")
 
 
+@query
+def op5_multi_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return multi_index.search(read(spark, sf_dir, "embeddings"), F.col("id") % 20 == 0)
+
+
+@query
+def op6_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return htmltext.main_texts(read(spark, sf_dir, "pages"))
+
+
 @query
 def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.contamination(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")).drop("items", "runs")
 
 
+@query
+def op8_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.identified(read(spark, sf_dir, "documents"))
+
+
 @query
 def op9_block_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return block_dedup.without_repeats(read(spark, sf_dir, "documents")).drop("text")
