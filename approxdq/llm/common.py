@@ -108,18 +108,24 @@ def word_spans(data: np.ndarray, offsets: np.ndarray, is_word: np.ndarray) -> tu
 
 
 def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, seed: int = 1) -> np.ndarray:
-    """A 64-bit multilinear hash of each span; spans are in order and don't overlap."""
+    """A 64-bit multilinear hash of each (non-empty) span; spans may overlap. Works through about PIECE bytes at once."""
+    lengths = ends - starts
     if not len(starts):
         return np.zeros(0, np.uint64)
-    lengths = ends - starts
-    total = int(lengths.sum())
-    at = np.arange(total) - np.repeat(np.cumsum(lengths) - lengths, lengths)
-    source = at + np.repeat(starts, lengths)
     longest, table = int(lengths.max()), _MULT[seed]
     if longest > len(table):
         table = _MULT[seed] = draws(1 << int(longest).bit_length(), seed)
-    values = (data[source].astype(np.uint64) + np.uint64(1)) * table[at]
-    return mix(np.add.reduceat(values, np.cumsum(lengths) - lengths) + lengths.astype(np.uint64))
+    total = np.cumsum(lengths)
+    cuts = np.unique(np.append(np.searchsorted(total, np.arange(0, int(total[-1]), PIECE), "right"), len(starts)))
+    out = np.empty(len(starts), np.uint64)
+    for a, b in zip(np.append(0, cuts), cuts, strict=False):
+        if b > a:
+            own = lengths[a:b]
+            first = np.cumsum(own) - own
+            at = np.arange(int(own.sum())) - np.repeat(first, own)
+            values = (data[at + np.repeat(starts[a:b], own)].astype(np.uint64) + np.uint64(1)) * table[at]
+            out[a:b] = mix(np.add.reduceat(values, first) + own.astype(np.uint64))
+    return out
 
 
 def gram_hashes(words: np.ndarray, n: int, seed: int = 1) -> np.ndarray:

@@ -19,6 +19,7 @@ Shards hold snippets that are distinct in their chunk, so no passage, host or gr
 from __future__ import annotations
 
 import hashlib
+from copy import copy
 
 import numpy as np
 import pyarrow as pa
@@ -29,7 +30,7 @@ from .chunks import MESSAGE, Plan, Reader, Writer, doc_order, merge, merged_hot,
 from .suffix_array import induce
 
 #: Bytes of an anchor.
-GRAM = 24
+GRAM = 16
 _OUT = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string()), ("spans", pa.list_(pa.int64()))])
 SCHEMA = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<long>"
 #: UTF-8 has no byte above 0xF7, so all bytes can go up by one and 0 is free to end a snippet.
@@ -67,7 +68,7 @@ def anchors(data: np.ndarray, offsets: np.ndarray, size: int):
     first = np.flatnonzero(new)
     after = np.flatnonzero(new | ~inside)
     ends = np.append(after, len(anchor))[np.searchsorted(after, first, "right")]
-    return first, ends - first, grams[anchor[first]]
+    return first, ends - first, C.mix(grams[anchor[first]] + np.uint64(1))  # hashes of anchors are low: spread them again
 
 
 def _long_anchors(data: np.ndarray, offsets: np.ndarray, size: int, step: int = 1 << 23):
@@ -120,8 +121,13 @@ def _distinct(snippets: Snippets, chosen: np.ndarray, docs: np.ndarray, size: in
 
 
 def _spread(data: np.ndarray, start: np.ndarray, length: np.ndarray) -> np.ndarray:
-    at = np.cumsum(length) - length
-    return data[np.arange(int(length.sum())) - np.repeat(at - start, length)]
+    """data[start : start + length] of all spans, end to end."""
+    out, total = np.empty(int(length.sum()), data.dtype), np.cumsum(length)
+    for a in range(0, len(start), C.PIECE // 64):
+        own = length[a : a + C.PIECE // 64]
+        lo, hi = int(total[a] - length[a]), int(total[a + len(own) - 1])
+        out[lo:hi] = data[np.arange(hi - lo) - np.repeat(np.cumsum(own) - own - start[a : a + len(own)], own)]
+    return out
 
 
 def shard_answers(readers: list[Reader], size: int) -> list[bytes]:
@@ -144,9 +150,11 @@ def shard_answers(readers: list[Reader], size: int) -> list[bytes]:
     inside = np.ones(len(text), bool)
     inside[t_start + t_len - 1] = False
     text[inside] = _UP[_spread(body, start[keep], length[keep])]
+    del body, a, b, order, new, inside
     first_doc = np.zeros(len(text), np.int64)
-    owner = np.repeat(np.arange(len(keep)), t_len)
-    whole = np.arange(len(text)) + size < np.repeat(t_start + t_len, t_len)
+    owner = np.repeat(np.arange(len(keep), dtype=np.int32), t_len)
+    t_last = t_start + t_len - size  # whole strings start before
+    most = np.iinfo(np.int64).max
     held_at, held_doc = [], []  # the open group goes over block borders
 
     def close(at: np.ndarray, docs: np.ndarray, starts: np.ndarray) -> None:
@@ -159,11 +167,13 @@ def shard_answers(readers: list[Reader], size: int) -> list[bytes]:
         starts = np.flatnonzero(~cut)
         starts = starts if len(starts) and starts[0] == 0 else np.append(0, starts)
         end = int(starts[-1])
-        docs = np.where(whole[at], t_doc[owner[at]], np.iinfo(np.int64).max)
+        of = owner[at]
+        docs = np.where(at < t_last[of], t_doc[of], most)
         close(at[:end], docs[:end], starts[:-1])
         held_at, held_doc = [at[end:]], [np.append(False, cut[end + 1 :])]
     if held_at:
-        close(held_at[0], np.where(whole[held_at[0]], t_doc[owner[held_at[0]]], np.iinfo(np.int64).max), np.zeros(1, np.int64))
+        of = owner[held_at[0]]
+        close(held_at[0], np.where(held_at[0] < t_last[of], t_doc[of], most), np.zeros(1, np.int64))
     out, at = [], 0
     for counts, docs, _ in own:
         mine = which[at : at + len(counts)]
@@ -175,8 +185,10 @@ def shard_answers(readers: list[Reader], size: int) -> list[bytes]:
 
 def without_repeats(docs: DataFrame, size: int = 50, plan: Plan | None = None) -> DataFrame:
     """One row per document: bytes, removed bytes, maximal removed runs, digest of what is left, and the runs [start, end, ...)."""
-    plan = plan or Plan(docs, bytes_per_key=13)
+    plan = plan or Plan(docs, bytes_per_key=9)
     dealt, bits = plan.deal(docs), plan.bits
+    shards = copy(plan)
+    shards.buckets = max(plan.buckets, 2 * plan.chunks)  # so that a shard has some MB
 
     def report(key, table):
         table = ordered(table)
@@ -192,7 +204,7 @@ def without_repeats(docs: DataFrame, size: int = 50, plan: Plan | None = None) -
         mask = hot[np.minimum(np.searchsorted(hot, own), len(hot) - 1)] == own if len(hot) else np.zeros(len(own), bool)
         _, first, doc = _distinct(snippets, np.flatnonzero(mask), order, size)
         sent = [(-1, chunk, Writer().bits(mask).done())]
-        for k, x, y in plan.by_bucket(snippets.gram[first], 64):
+        for k, x, y in shards.by_bucket(snippets.gram[first], 64):
             mine = first[x:y]
             sent.append((k, chunk, Writer().numbers(snippets.count[mine]).numbers(doc[x:y]).raw(_spread(snippets.data, snippets.first[mine], snippets.count[mine] + size - 1)).done()))
         return messages(sent)
