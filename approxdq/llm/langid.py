@@ -162,11 +162,14 @@ def held_out() -> F.Column:
 
 def fit(docs: DataFrame, per_lang: int = 400, stretch: int = 3000, steps: int = 500) -> ByteGRU | None:
     """A model from labelled rows that aren't held out; None without any. Only languages of such rows are learnt."""
-    key = F.xxhash64(F.col("doc_id").cast("string"))
-    at = F.lit(1) + F.pmod(F.xxhash64(F.lit("place"), F.col("doc_id").cast("string")), F.greatest(F.lit(1), F.char_length("text") - stretch))
-    own = docs.where(F.col("text").isNotNull() & F.col("lang").isNotNull() & ~F.coalesce(held_out(), F.lit(False))).select("lang", F.col("doc_id").cast("string").alias("k"), key.alias("key"), F.col("text").substr(at, F.lit(stretch)).alias("text"))
-    place = F.row_number().over(Window.partitionBy("lang").orderBy("key", "k", "text"))
-    rows = sorted(own.withColumn("place", place).where(F.col("place") <= per_lang).select("lang", "key", "text").collect())
+    doc = F.col("doc_id").cast("string")
+    at = F.lit(1) + F.pmod(F.xxhash64(F.lit("place"), doc), F.greatest(F.lit(1), F.char_length("text") - stretch))
+    able = docs.where(F.col("text").isNotNull() & F.col("lang").isNotNull() & ~F.coalesce(held_out(), F.lit(False)))
+    keyed = able.select("lang", F.xxhash64(doc).alias("key")).distinct()
+    place = F.row_number().over(Window.partitionBy("lang").orderBy("key"))
+    bars = keyed.withColumn("place", place).where(F.col("place") <= per_lang).groupBy("lang").agg(F.max("key").alias("bar"))  # a row for each language
+    own = able.withColumn("key", F.xxhash64(doc)).join(F.broadcast(bars), "lang").where("key <= bar")
+    rows = sorted(own.select("lang", "key", F.col("text").substr(at, F.lit(stretch)).alias("text")).distinct().collect())
     if not rows:
         return None
     langs = sorted({r.lang for r in rows})
