@@ -6,15 +6,13 @@ up, and each hit is verified word by word. Words of all occurrences are hit, and
 the document can be dropped.
 
 The set is broadcast only up to ``most_bytes`` of item text; beyond it the items go in several slices of
-that size, one scan each, and the hits of a document are united, so no bound drops a case.
+that size, which a task takes one after the other, and the hits are united, so no bound drops a case.
 Null or empty texts (of either table) have no words. Repeated items all count; repeated documents are
 judged each by itself. An empty benchmark hits nothing.
 """
 
 from __future__ import annotations
 
-import hashlib
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -86,18 +84,31 @@ def united(spans: list[tuple[int, int]]) -> list[int]:
     return out
 
 
-def _scan(docs: DataFrame, items: list[tuple[str, str]], n: int) -> DataFrame:
-    made = docs.sparkSession.sparkContext.broadcast(items)
+def slices(benchmark: DataFrame, most_bytes: int) -> list:
+    """Broadcasts of the items (id, text), each of about ``most_bytes`` of text; one, if all fit."""
+    items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text")).where("text is not null")
+    size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    n = max(1, -(-size // most_bytes))
+    part = items.withColumn("part", F.pmod(F.xxhash64("item_id", "text"), F.lit(n)))
+    return [benchmark.sparkSession.sparkContext.broadcast([(r.item_id, r.text) for r in part.where(F.col("part") == k).collect()]) for k in range(n)]
 
-    def run(batches):
-        windows = WindowSet(made.value, n)
-        for batch in batches:
-            for piece in C.pieces(batch):
-                counts, covers, owners = windows.find(*C.flat(piece.column("text")))
-                k = range(piece.num_rows)
-                yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(counts, pa.int64()), pa.array([united(covers.get(i, [])) for i in k], _HIT.field("runs").type), pa.array([sorted(owners.get(i, ())) for i in k], _HIT.field("items").type)], schema=_HIT)
 
-    return C.documents(docs).mapInArrow(run, HIT)
+class Finder:
+    """Hits of a piece by all slices; the window set is built once if there is one slice, else anew for each piece."""
+
+    def __init__(self, made: list, n: int):
+        self.made, self.n = made, n
+        self.only = WindowSet(made[0].value, n) if len(made) == 1 else None
+
+    def find(self, column):
+        """Words, runs and items of each row."""
+        flat, covers, owners, counts = C.flat(column), {}, {}, None
+        for m in self.made:
+            counts, cover, own = (self.only or WindowSet(m.value, self.n)).find(*flat)
+            for row, spans in cover.items():
+                covers.setdefault(row, []).extend(spans)
+                owners.setdefault(row, set()).update(own[row])
+        return counts, [united(covers.get(i, [])) for i in range(len(column))], [sorted(owners.get(i, ())) for i in range(len(column))]
 
 
 def _digest(hits: DataFrame) -> DataFrame:
@@ -106,38 +117,38 @@ def _digest(hits: DataFrame) -> DataFrame:
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, n: int = 10, most_bytes: int = 64 << 20) -> DataFrame:
-    """One row per document: its words, how many are hit, the items and the covered word runs."""
-    items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text")).where("text is not null")
-    size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    slices = max(1, -(-size // most_bytes))
-    if slices == 1:
-        return _digest(_scan(docs, [tuple(r) for r in items.collect()], n))
-    numbered = items.withColumn("part", F.pmod(F.xxhash64("item_id", "text"), F.lit(slices)))
-    hits = None
-    for k in range(slices):
-        own = _scan(docs.withColumn("doc_id", F.col("doc_id")), [(r.item_id, r.text) for r in numbered.where(F.col("part") == k).collect()], n)
-        hits = own if hits is None else hits.unionByName(own)
-    merged = hits.groupBy("doc_id").applyInPandas(_united, HIT)
-    return _digest(merged)
+    """One row per document: its words, how many are hit, the items and the covered word runs. Narrow."""
+    made = slices(benchmark, most_bytes)
 
+    def run(batches):
+        finder = Finder(made, n)
+        for batch in batches:
+            for piece in C.pieces(batch):
+                counts, runs, items = finder.find(piece.column("text"))
+                yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(counts, pa.int64()), pa.array(runs, _HIT.field("runs").type), pa.array(items, _HIT.field("items").type)], schema=_HIT)
+
+    return _digest(C.documents(docs).mapInArrow(run, HIT))
 
-def _united(frame):
-    import pandas as pd
 
-    spans = [(a, b) for runs in frame["runs"] for a, b in zip(runs[::2], runs[1::2], strict=True)]
-    return pd.DataFrame({"doc_id": frame["doc_id"][:1], "n_words": frame["n_words"][:1], "runs": [united(spans)], "items": [sorted({i for own in frame["items"] for i in own})]})
+def clean_documents(docs: DataFrame, benchmark: DataFrame, n: int = 10, remove: str = "documents", most_bytes: int = 64 << 20) -> DataFrame:
+    """Documents without what the benchmark holds, all columns kept: ``documents`` drops each that is hit, ``spans``
+    cuts the hit words (and what stands between them) and keeps the rest; n_chars, if there, follows the text. Narrow."""
+    C.ship(docs.sparkSession)
+    made, at = slices(benchmark, most_bytes), docs.columns.index("text")
 
+    def run(batches):
+        finder = Finder(made, n)
+        for batch in batches:
+            for piece in C.pieces(batch):
+                _, runs, _ = finder.find(piece.column(at))
+                if remove == "documents":
+                    yield piece.filter(pa.array([not r for r in runs], pa.bool_()))
+                else:
+                    texts = [cut_runs(t, r) if r else t for t, r in zip(piece.column(at).to_pylist(), runs, strict=True)]
+                    yield piece.set_column(at, piece.schema.field(at), pa.array(texts, piece.schema.field(at).type))
 
-def clean_documents(docs: DataFrame, benchmark: DataFrame, n: int = 10, remove: str = "documents") -> DataFrame:
-    """Documents without what the benchmark holds: ``documents`` drops each that is hit, ``spans`` cuts the
-    hit words (and what stands between them) and keeps the rest of the text."""
-    hits = contamination(docs, benchmark, n).select(F.col("doc_id").alias("_id"), F.col("runs").alias("_runs"))
-    if remove == "documents":
-        bad = hits.where(F.size("_runs") > 0).select("_id").distinct()
-        return docs.join(bad, docs["doc_id"].eqNullSafe(bad["_id"]), "left_anti")
-    bad = hits.where(F.size("_runs") > 0).dropDuplicates(["_id"])
-    joined = docs.join(bad, docs["doc_id"] == bad["_id"], "left").drop("_id")
-    return joined.withColumn("text", F.when(F.col("_runs").isNull(), F.col("text")).otherwise(_cut("text", "_runs"))).select(*docs.columns)
+    out = docs.mapInArrow(run, docs.schema)
+    return out.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType)) if remove == "spans" and "n_chars" in docs.columns else out
 
 
 def cut_runs(text: str, runs) -> str:
@@ -149,17 +160,3 @@ def cut_runs(text: str, runs) -> str:
         out.append(body[at : starts[a]])
         at = int(ends[b - 1])
     return b"".join([*out, body[at:]]).decode()
-
-
-def _cut(text: str, runs: str):
-    @F.pandas_udf("string")
-    def cut(texts: "pd.Series", spans: "pd.Series") -> "pd.Series":  # noqa: F821, UP037
-        import pandas as pd
-
-        return pd.Series([None if t is None else t if s is None else cut_runs(t, s) for t, s in zip(texts, spans, strict=True)])
-
-    return cut(F.col(text), F.col(runs))
-
-
-def sha(ids: list[str]) -> str:
-    return hashlib.sha256(",".join(sorted(ids)).encode()).hexdigest()
