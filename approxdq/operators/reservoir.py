@@ -9,6 +9,7 @@ from __future__ import annotations
 import math
 import random
 from collections.abc import Iterable
+from itertools import islice
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -32,7 +33,7 @@ def sequential(items: Iterable, k: int, seed: int = 0) -> list:
 def skipping(items: Iterable, k: int, seed: int = 0) -> list:
     """The same law with about k(1 + ln(n/k)) draws: how many items to pass over is drawn at once."""
     rng, it = random.Random(seed), iter(items)
-    kept = [x for x, _ in zip(it, range(k))] if k else []
+    kept = list(islice(it, k))
     if len(kept) < k or not k:
         return kept
     w = math.exp(math.log(1 - rng.random()) / k)
