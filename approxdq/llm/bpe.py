@@ -13,6 +13,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+from itertools import chain
 
 import ahocorasick
 import numpy as np
@@ -31,6 +32,7 @@ class ByteEncoder:
         with open(path, "rb") as f:
             self.rank = {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
         self.token = {i: t for t, i in self.rank.items()}
+        self.length = {i: len(t) for t, i in self.rank.items()}
         self.text_of_id = {i: b"%d" % i for i in self.token}
         self.split_pieces = regex.compile(pattern).findall
         self.shorter: dict[int, int] = {}  # the longest token that is a proper prefix
@@ -53,7 +55,7 @@ class ByteEncoder:
                 left = self.shorter.get(left)
         self.tokens_in = ahocorasick.Automaton()
         for t, i in self.rank.items():
-            self.tokens_in.add_word(t.decode("latin-1"), (len(t), i))
+            self.tokens_in.add_word(t.decode("latin-1"), (len(t) - 1, i))
         self.tokens_in.make_automaton()
         self.cache: dict[str, tuple[int, ...]] = {}
 
@@ -82,52 +84,54 @@ class ByteEncoder:
         """Ids of one piece."""
         if (i := self.rank.get(piece)) is not None:
             return (i,)
-        size, width, longest = len(piece), 0, {}
-        for end, (n, i) in self.tokens_in.iter(piece.decode("latin-1")):
-            if longest.get(end - n + 1, (0,))[0] < n:
-                longest[end - n + 1] = (n, i)
-        barred, out, at, fits, token = bytearray(size + 1), [], 0, self.fits, self.token
-        now = longest[0][1] if size else None
+        size = len(piece)
+        longest = [0] * size
+        for end, (back, i) in self.tokens_in.iter(piece.decode("latin-1")):
+            longest[end - back] = i  # a later end is a longer token
+        barred, out, at, fits, length = bytearray(size + 1), [], 0, self.fits, self.length
+        now = longest[0] if size else None
         while now is not None:
             last = out[-1] if out else None
             while now is not None:
-                to = at + len(token[now])
+                to = at + length[now]
                 if not barred[to]:
                     if last is None:
-                        ok = True
-                    elif (ok := fits.get((last, now))) is None:
+                        break
+                    ok = fits.get((last, now))
+                    if ok is None:
                         ok = fits[last, now] = self._apart(last, now)
                     if ok:
                         break
                 now = self.shorter.get(now)
             if now is not None:
                 out.append(now)
-                at, now = to, longest[to][1] if to < size else None
+                at, now = to, longest[to] if to < size else None
             else:
                 barred[at] = 1
                 now = out.pop()
-                at -= len(token[now])
+                at -= length[now]
         if len(fits) > 4 * REMEMBER:
             fits.clear()
         return tuple(out)
 
     def encode_pieces(self, text: str) -> list[tuple[int, ...]]:
         """Ids of each piece of a text, in order."""
-        cache, out = self.cache, []
-        for piece in self.split_pieces(text):
-            ids = cache.get(piece)
-            if ids is None:
-                ids = self.encode_piece(piece.encode())
-                if len(piece) < 64:
-                    if len(cache) >= REMEMBER:
-                        for old in list(cache)[: REMEMBER // 2]:
-                            del cache[old]
-                    cache[piece] = ids
-            out.append(ids)
-        return out
+        cache, pieces, long = self.cache, self.split_pieces(text), {}
+        new = set(pieces).difference(cache)
+        if len(cache) + len(new) > REMEMBER:
+            for old in list(cache)[: len(cache) // 2]:
+                del cache[old]
+            new = set(pieces).difference(cache)
+        for piece in new:
+            ids = self.encode_piece(piece.encode())
+            if len(piece) < 64 and len(cache) < REMEMBER:
+                cache[piece] = ids
+            else:
+                long[piece] = ids
+        return [long[p] if p in long else cache[p] for p in pieces] if long else list(map(cache.__getitem__, pieces))
 
     def encode(self, text: str) -> list[int]:
-        return [i for ids in self.encode_pieces(text) for i in ids]
+        return list(chain.from_iterable(self.encode_pieces(text)))
 
     def decode(self, ids) -> bytes:
         return b"".join(map(self.token.__getitem__, ids))
