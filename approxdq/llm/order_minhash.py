@@ -6,11 +6,12 @@ put in text order. Two texts give the same sketch more often the fewer edits par
 count against them. A text of fewer than 5 words is one run.
 
 1. Equal word sequences are collapsed to the one of the smallest doc_id; only these representatives go on.
-2. Representatives that share a sketch are candidates. A bucket of up to ``SMALL`` gives all its pairs. A larger
-   one (a large group of near copies, or a common passage) pairs each member with its smallest one; if any of
-   these is no match, the bucket's members are dealt to buckets of two sketches; where such a bucket is large
-   too, members that didn't match its smallest are paired with all its members. So no bucket is capped.
-3. Candidates are verified: edit distance of the word sequences by furthest-reaching diagonals within the
+2. Representatives that share a sketch are candidates. First each bucket pairs its members with its smallest
+   one, which settles groups of near copies in as many pairs as members. Only buckets that then still hold two
+   classes go on: up to ``SMALL`` members, with all their pairs across classes; larger ones (a common passage)
+   are compared and verified block by block, after a bound by pairs of adjacent words.
+   So no bucket is capped, and no pair that could join two classes is left out.
+3. Candidates are verified: edit distance of the word sequences, aligned within the
    band that ``similarity`` = 0.8 allows (1 - edits / longer length), after a bound by common words.
 4. Classes are connected components of the verified links.
 
@@ -31,7 +32,7 @@ from pyspark.sql import functions as F
 from ..checkpoints import cut
 from . import common as C
 
-K, TAKE, SKETCHES, SMALL, PAIRED = 5, 2, 24, 64, 8
+K, TAKE, SKETCHES, SMALL, BLOCK, BINS = 5, 2, 24, 64, 512, 256
 
 
 def sketches(words: np.ndarray, rows: np.ndarray, n_rows: int, k: int = K, take: int = TAKE, count: int = SKETCHES) -> np.ndarray:
@@ -102,35 +103,35 @@ def signatures(docs: DataFrame) -> DataFrame:
 
 
 def edit_distance(a: np.ndarray, b: np.ndarray, most: int) -> int | None:
-    """Edits that make a into b, if they are ``most`` at most: furthest-reaching places on diagonals, band by band."""
+    """Edits that make a into b, if they are ``most`` at most. The alignment table is filled column by column, only
+    in the band of ``most`` rows on each side of the diagonal; a column's differences are bits of two integers
+    (bit i is the row ``most`` above the diagonal plus i), so a column takes a dozen operations."""
     n, m = len(a), len(b)
     if abs(n - m) > most:
         return None
-    breaks: dict[int, np.ndarray] = {}
-
-    def slide(k: int, i: int) -> int:
-        """Where the run of equal words from a[i], b[i + k] ends, in a."""
-        if k not in breaks:
-            lo, hi = max(0, -k), min(n, m - k)
-            breaks[k] = np.append(np.flatnonzero(a[lo:hi] != b[lo + k : hi + k]) + lo, hi) if hi > lo else np.array([max(lo, hi)])
-        own = breaks[k]
-        at = int(np.searchsorted(own, i))
-        return max(i, int(own[at])) if at < len(own) else i
-
-    reach = {0: slide(0, 0)}
-    if n == m and reach[0] >= n:
-        return 0
-    for d in range(1, most + 1):
-        now = {}
-        for k in range(-min(d, n, most), min(d, m, most) + 1):
-            best = max(reach.get(k, -2) + 1, reach.get(k - 1, -2), reach.get(k + 1, -2) + 1)
-            best = min(best, n, m - k)
-            if best >= max(0, -k):
-                now[k] = slide(k, best)
-        reach = now
-        if reach.get(m - n, -1) >= n:
-            return d
-    return None
+    if not n or not m:
+        return max(n, m)
+    width = 2 * most + 1
+    full = (1 << width) - 1
+    rows: dict[int, int] = {}
+    for i, w in enumerate(a.tolist()):
+        rows[w] = rows.get(w, 0) | 1 << i
+    up, down = full & ~((1 << most) - 1), 0  # rows where a step down adds one, takes one off
+    bottom = 1 << (width - 1)
+    distance = min(n, most)
+    for j, w in enumerate(b.tolist(), 1):
+        equal = rows.get(w, 0)
+        equal = (equal >> (j - most - 1) if j > most else equal << (most + 1 - j)) & full
+        level = ((((equal & up) + up) ^ up) | equal | down) & full  # rows whose diagonal step is free
+        right_up, right_down = down | (full & ~(level | up)), level & up
+        if j + most <= n:
+            distance += not level & bottom
+        else:
+            row = 1 << (n - j + most)
+            distance += bool(right_up & row) - bool(right_down & row)
+        level >>= 1
+        up, down = right_down | (full & ~(level | right_up)), level & right_up
+    return distance if distance <= most else None
 
 
 def similar(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
@@ -153,70 +154,143 @@ def similar(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
     return edit_distance(a, b, most) is not None
 
 
-def verify(pairs: DataFrame, docs: DataFrame, similarity: float) -> DataFrame:
-    """pairs (a, b) with ``ok``. The words of documents in pairs are joined, four bytes a word."""
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+#: Ids that are broadcast at most (8 bytes each); beyond it the documents are joined by a shuffle.
+MOST_IDS = 1 << 20
+
+
+def _words_of(docs: DataFrame, ids: DataFrame, form) -> DataFrame:
+    """doc_id, words: what ``form(hashes of words, rows, number of rows)`` makes of these documents."""
+    side = F.broadcast(ids) if ids.count() <= MOST_IDS else ids
 
     def words(piece: pa.RecordBatch) -> pa.RecordBatch:
         data, offsets = C.flat(piece.column("text"))
         low = C.LOWER[data]
         starts, ends, rows = C.word_spans(low, offsets, C.IS_WORD)
-        body = (C.span_hashes(low, starts, ends) >> np.uint64(32)).astype(np.uint32)
-        edges = np.append(0, np.cumsum(np.bincount(rows, minlength=piece.num_rows)))
-        return pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array([body[x:y].tobytes() for x, y in zip(edges, edges[1:], strict=False)], pa.binary())], names=["doc_id", "words"])
+        return pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(form(C.span_hashes(low, starts, ends), rows, piece.num_rows), pa.binary())], names=["doc_id", "words"])
+
+    return C.map_pieces(C.documents(docs).join(side, "doc_id", "left_semi"), words, "doc_id long, words binary").dropDuplicates(["doc_id"])
 
-    own = C.map_pieces(C.documents(docs).join(ids, "doc_id", "left_semi"), words, "doc_id long, words binary").dropDuplicates(["doc_id"])
+
+def _sequence(words: np.ndarray, rows: np.ndarray, n: int) -> list[bytes]:
+    edges = np.append(0, np.cumsum(np.bincount(rows, minlength=n)))
+    body = (words >> np.uint64(32)).astype(np.uint32)
+    return [body[x:y].tobytes() for x, y in zip(edges, edges[1:], strict=False)]
+
+
+def verify(pairs: DataFrame, docs: DataFrame, similarity: float) -> DataFrame:
+    """pairs (a, b; a written table) with ``ok``. Only words of documents in pairs move, four bytes a word."""
+    own = _words_of(docs, pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), _sequence)
 
     def check(batches):
         for batch in batches:
-            left = {}
-            ok = []
-            for a, x, y in zip(batch.column("a").to_pylist(), batch.column("x").to_pylist(), batch.column("y").to_pylist(), strict=True):
-                if a not in left:
-                    left = {a: np.frombuffer(x, np.uint32)}
-                ok.append(similar(left[a], np.frombuffer(y, np.uint32), similarity))
+            ok = [similar(np.frombuffer(x, np.uint32), np.frombuffer(y, np.uint32), similarity) for x, y in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(ok, pa.bool_())], names=["a", "b", "ok"])
 
     joined = pairs.join(own.select(F.col("doc_id").alias("b"), F.col("words").alias("y")), "b").join(own.select(F.col("doc_id").alias("a"), F.col("words").alias("x")), "a")
     return joined.select("a", "b", "x", "y").mapInArrow(check, "a long, b long, ok boolean")
 
 
-def _pairs(members: DataFrame, similarity: float) -> tuple[DataFrame, DataFrame]:
-    """members (key, id, n): all pairs of small buckets; (key, id, a) of large ones, a the smallest id of the bucket."""
+def _buckets(members: DataFrame) -> DataFrame:
+    """members (key, id, n) of buckets of two and more, with size and first (smallest id); written."""
     sizes = members.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("first")).where("size > 1")
-    small = members.join(sizes.where(F.col("size") <= SMALL).select("key"), "key")
-    x, y = small.select("key", F.col("id").alias("a"), F.col("n").alias("na")), small.select("key", F.col("id").alias("b"), F.col("n").alias("nb"))
+    return cut(members.join(sizes, "key"))
+
+
+def _mixed(buckets: DataFrame, found: DataFrame) -> DataFrame:
+    """Members of the buckets that still hold two classes or more, with their class so far."""
+    classes = components(found)
+    own = buckets.join(classes.select("id", "label"), "id", "left").withColumn("label", F.coalesce("label", "id"))
+    mixed = own.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("key")
+    return cut(own.join(mixed, "key"))
+
+
+def _across(members: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (a, b) of members (key, id, n, label) of one small bucket but two classes."""
+    x, y = (members.select("key", F.col("id").alias(i), F.col("n").alias(f"n{i}"), F.col("label").alias(f"l{i}")) for i in ("a", "b"))
     near = (F.col("na") >= F.col("nb") * similarity) & (F.col("nb") >= F.col("na") * similarity)
-    pairs = x.join(y, "key").where((F.col("a") < F.col("b")) & near).select("a", "b")
-    large = members.join(sizes.where(F.col("size") > SMALL).select("key", F.col("first").alias("a")), "key").where(F.col("id") != F.col("a")).select("key", F.col("id").alias("b"), "a")
-    return pairs, large
+    return x.join(y, "key").where((F.col("a") < F.col("b")) & (F.col("la") != F.col("lb")) & near).select("a", "b")
+
+
+def pair_counts(words: np.ndarray, rows: np.ndarray, n_rows: int) -> np.ndarray:
+    """(n_rows, BINS) how many pairs of adjacent words fall in each bin of their hash."""
+    if len(words) < 2:
+        return np.zeros((n_rows, BINS), np.uint16)
+    pairs = (C.gram_hashes(words, 2) % np.uint64(BINS)).astype(np.int64)
+    ok = rows[:-1] == rows[1:]
+    counts = np.bincount(rows[:-1][ok] * BINS + pairs[ok], minlength=n_rows * BINS)
+    return np.minimum(counts, 65535).astype(np.uint16).reshape(n_rows, BINS)
+
+
+def possible(n: np.ndarray, label: np.ndarray, counts: np.ndarray, m: np.ndarray, other: np.ndarray, others: np.ndarray, similarity: float) -> np.ndarray:
+    """(len(n), len(m)) pairs of two classes that may be similar. An edit spoils two pairs of adjacent words at most, so
+    texts within the band share all but two for each edit; bins only add to what seems shared (nor does a full one lose any)."""
+    longer = np.maximum(n[:, None], m)
+    edits = np.floor((1 - similarity) * longer + 1e-9)
+    ok = (longer - np.minimum(n[:, None], m) <= edits) & (label[:, None] != other)
+    need = longer - 1 - 2 * edits
+    for i in np.flatnonzero(ok.any(1)):
+        at = np.flatnonzero(ok[i])
+        ok[i, at] = np.minimum(counts[i], others[at]).sum(1, dtype=np.int64) >= np.minimum(need[i, at], 65535)
+    return ok
+
+
+def _blocks(members: DataFrame, rows: DataFrame, docs: DataFrame, similarity: float) -> DataFrame:
+    """Verified links across classes in large buckets (key, id, n, label, size): members are dealt to blocks, and blocks are
+    compared two by two in tasks of their own, so a common passage makes no rows of pairs. A pair is compared in the
+    bucket of its first common sketch only, and not if links found before in the task join its classes."""
+    ids = members.select(F.col("id").alias("doc_id")).distinct()
+    words = _words_of(docs, ids, _sequence).withColumnRenamed("doc_id", "id")
+    blocks = F.ceil(F.col("size") / BLOCK).cast("int")
+    own = members.withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).join(words, "id").join(rows.select(F.col("doc_id").alias("id"), "keys"), "id")
+    dealt = own.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1))).select("key", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "id", "n", "label", "words", "keys")
+
+    def compare(key, table):
+        table = table.combine_chunks().sort_by("id")
+        bucket, lo, hi = (k.as_py() for k in key)
+        block, ids, n, label = (table[c].to_numpy() for c in ("block", "id", "n", "label"))
+        body = [np.frombuffer(w, np.uint32) for w in table["words"].to_pylist()]
+        keys = table["keys"].combine_chunks().flatten().to_numpy().reshape(-1, SKETCHES)
+        counts = pair_counts(np.concatenate(body).astype(np.uint64), np.repeat(np.arange(len(body)), [len(w) for w in body]), len(body))
+        x, y = np.flatnonzero(block == lo), np.flatnonzero(block == hi)
+        up: dict[int, int] = {}
+
+        def top(v: int) -> int:
+            while v in up:
+                v = up[v]
+            return v
+
+        out_a, out_b = [], []
+        for i in x.tolist():
+            at = y[possible(n[i : i + 1], label[i : i + 1], counts[i : i + 1], n[y], label[y], counts[y], similarity)[0]]
+            at = at[at > i] if lo == hi else at
+            same = keys[at] == keys[i]
+            for j in at[keys[i][same.argmax(1)] == bucket].tolist():
+                p, q = top(int(label[i])), top(int(label[j]))
+                if p != q and similar(body[i], body[j], similarity):
+                    up[max(p, q)] = min(p, q)
+                    out_a.append(min(ids[i], ids[j]))
+                    out_b.append(max(ids[i], ids[j]))
+        return pa.table({"a": pa.array(out_a, pa.int64()), "b": pa.array(out_b, pa.int64())})
+
+    return dealt.groupBy("key", "lo", "hi").applyInArrow(compare, "a long, b long")
+
+
+def _star(buckets: DataFrame) -> DataFrame:
+    return buckets.where(F.col("id") != F.col("first")).select(F.col("first").alias("a"), F.col("id").alias("b"))
 
 
 def links(reps: DataFrame, docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     """Verified pairs (a, b), a < b, of representatives (doc_id, n, keys)."""
     rows = reps.where(F.col("keys").isNotNull())
-    members = rows.select(F.explode("keys").alias("key"), F.col("doc_id").alias("id"), "n").distinct()
-    small, large = _pairs(members, similarity)
-    large = cut(large)
-    tested = cut(verify(small.unionByName(large.select("a", "b")).distinct(), docs, similarity))
-    found = tested.where("ok").select("a", "b")
-    failing = large.join(found, ["a", "b"], "left_anti").select("key").distinct()
-    if failing.isEmpty():
-        return found
-    keyed = rows.select(F.col("doc_id").alias("id"), "n", F.posexplode("keys").alias("at", "key"), "keys").join(failing, "key")
-    other = F.expr(f"explode(transform(sequence(1, {PAIRED}), j -> xxhash64(key, keys[pmod(at + j, {SKETCHES})])))")
-    small, large = _pairs(keyed.select(other.alias("key"), "id", "n").distinct(), similarity)
-    large = cut(large)
-    pairs = small.unionByName(large.select("a", "b")).distinct().join(tested, ["a", "b"], "left_anti")
-    second = cut(verify(pairs, docs, similarity))
-    tested = tested.unionByName(second)
+    buckets = _buckets(rows.select(F.explode("keys").alias("key"), F.col("doc_id").alias("id"), "n"))
+    tested = cut(verify(cut(_star(buckets).distinct()), docs, similarity))
+    mixed = _mixed(buckets, tested.where("ok"))
+    large = mixed.where(F.col("size") > SMALL)
+    pairs = cut(_across(mixed.where(F.col("size") <= SMALL), similarity).distinct().join(tested, ["a", "b"], "left_anti"))
+    if not pairs.isEmpty():
+        tested = tested.unionByName(cut(verify(pairs, docs, similarity)))
     found = tested.where("ok").select("a", "b")
-    rest = large.join(found, ["a", "b"], "left_anti")
-    if rest.isEmpty():
-        return found
-    mates = large.select("key", F.col("b").alias("m"))
-    pairs = rest.select("key", "b").join(mates, "key").where("m <> b").select(F.least("b", "m").alias("a"), F.greatest("b", "m").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
-    return found.unionByName(cut(verify(pairs, docs, similarity)).where("ok").select("a", "b")).distinct()
+    return found if large.isEmpty() else found.unionByName(cut(_blocks(large, rows, docs, similarity))).distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -237,7 +311,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     """One row per document: doc_id, class_id (smallest doc_id of its class), n_copies (documents with its words),
-    n_links (verified links of its representative to other texts), kept (it stands for its class)."""
+    n_links (links of its representative to other texts that were verified to settle the classes), kept (it stands for its class)."""
     own = cut(signatures(docs).where(F.col("doc_id").isNotNull()))
     groups = own.where("copy is not null").groupBy("copy").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n_copies"), F.min_by("n", "doc_id").alias("n"), F.min_by("keys", "doc_id").alias("keys"))
     groups = cut(groups)
