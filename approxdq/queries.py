@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .functions import uris
+from .functions import udfs, uris
 from .functions.keys import number, random_key
 from .operators import bloom, catalog, clustering, conciseness, dereference, framework, instances, links, relational, reservoir
 from .plans import graphs, mappings
@@ -468,3 +468,25 @@ add("json_props", lambda s, d: table(s, d, "events").select("event_id", F.get_js
 add("sketches", lambda s, d: table(s, d, "events").agg(F.approx_count_distinct("user_id", 0.01).alias("users_hll"), F.expr("hll_sketch_estimate(hll_sketch_agg(user_id))").alias("users_hll2"), F.expr("theta_sketch_estimate(theta_sketch_agg(user_id))").alias("users_theta"), F.percentile_approx("value", [0.5, 0.9]).alias("quantiles"), F.expr("approx_top_k(event_type, 3)").alias("top")))
 add("scan_parquet", lambda s, d: table(s, d, "lineitem").where("l_quantity > 45").groupBy("l_returnflag").agg(F.count(F.lit(1)).alias("n")), "SELECT l_returnflag, count(*) AS n FROM lineitem WHERE l_quantity > 45 GROUP BY 1")
 add("size_ladder", lambda s, d: mappings.triples(s, d, "lineitem").groupBy("o_kind").agg(F.count(F.lit(1)).alias("n")), f"SELECT o_kind, count(*) AS n FROM ({T('lineitem')}) GROUP BY 1")
+
+
+# -- functions for SQL users, and joins that are not above ---------------------------------------------------
+
+
+def _sql(text: str):
+    def run(s, d):
+        udfs.register(s)
+        views = {n: table(s, d, n) for n in ("customer", "orders", "events", "nation") if f"{{{n}}}" in text}
+        return s.sql(text, **views)
+
+    return run
+
+
+add("udf_murmur", _sql("SELECT c_custkey, h.h1, h.h2 FROM (SELECT c_custkey, murmur3_128(c_name) AS h FROM {customer})"))
+add("udaf_reservoir", _sql("SELECT event_type, array_join(reservoir_agg(cast(user_id AS string)), ',') AS users FROM {events} GROUP BY event_type"), "SELECT event_type, string_agg(u, ',' ORDER BY r) AS users FROM (SELECT event_type, u, row_number() OVER (PARTITION BY event_type ORDER BY md5('0|' || u), u) AS r FROM (SELECT DISTINCT event_type, user_id::VARCHAR AS u FROM events)) WHERE r <= 16 GROUP BY event_type")
+add("udtf_ntriples", _sql("SELECT t.* FROM (SELECT concat('<https://n/', n_nationkey, '> <name> \"', n_name, '\" .') AS line FROM {nation}) x, LATERAL ntriples_parse(x.line) t"), "SELECT 'https://n/' || n_nationkey AS s, 'name' AS p, n_name AS o, 'literal' AS o_kind FROM nation")
+add("udtf_walk", _sql("SELECT * FROM walk_steps(40, 3, 200, 1)"))
+add("lateral_last_orders", _sql("SELECT c_custkey, o.o_orderkey FROM {customer} c, LATERAL (SELECT o_orderkey FROM {orders} WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2) o"), "SELECT c_custkey, o_orderkey FROM (SELECT o_custkey AS c_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM orders SEMI JOIN customer ON o_custkey = c_custkey) WHERE r <= 2")
+add("full_join_keys", lambda s, d: table(s, d, "customer").select(F.col("c_custkey").alias("k")).where("k % 3 = 0").alias("a").join(table(s, d, "supplier").select(F.col("s_suppkey").alias("k")).where("k % 2 = 0").alias("b"), F.col("a.k") == F.col("b.k"), "full").select(F.col("a.k").alias("c"), F.col("b.k").alias("s")), "SELECT a.k AS c, b.k AS s FROM (SELECT c_custkey AS k FROM customer WHERE c_custkey % 3 = 0) a FULL JOIN (SELECT s_suppkey AS k FROM supplier WHERE s_suppkey % 2 = 0) b ON a.k = b.k")
+add("shuffle_hash_join", lambda s, d: table(s, d, "orders").join(table(s, d, "customer").hint("shuffle_hash"), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n")), "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
+add("cosine_to_first", lambda s, d: (lambda e: e.crossJoin(F.broadcast(e.orderBy("vec_id").limit(1).select(F.col("v").alias("u")))).select("vec_id", F.round(F.aggregate(F.zip_with("v", "u", lambda a, b: a * b), F.lit(0.0), lambda x, y: x + y), 6).alias("c")))(table(s, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))), "SELECT vec_id, round(list_inner_product(embedding::DOUBLE[], (SELECT embedding::DOUBLE[] FROM embeddings ORDER BY vec_id LIMIT 1)), 6) AS c FROM embeddings")

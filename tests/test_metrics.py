@@ -219,3 +219,15 @@ def test_joins_around(spark):
     assert got == {(1, 5): 20.0, (1, 1): None, (2, 9): None}
     a, b = spark.createDataFrame([(x / 2,) for x in range(40)], "p double"), spark.createDataFrame([(1.0, 3.0), (2.5, 2.6), (10.0, 19.0)], "lo double, hi double")
     assert relational.range_join(a, b, "p", "lo", "hi", 1.5).count() == a.crossJoin(b).where("p >= lo and p < hi").count()
+
+
+def test_experiments_show_what_is_reported(spark, sf_dir):
+    from approxdq import experiments
+
+    links_ = framework.deviation(experiments.external_links(spark, sf_dir)).collect()
+    assert all(r.absolute < 0.05 for r in links_)
+    dead = [r.value for r in experiments.dereferenceability(spark, sf_dir).where("dataset = 'dead'").collect()]
+    assert len(dead) == 5 and set(dead) == {0.0}
+    con = experiments.extensional_conciseness(spark, sf_dir, ("orders", "part"))
+    dev = {(r.dataset, r.variant): r.absolute for r in framework.deviation(con).collect()}
+    assert all(dev[d, "P4"] <= dev[d, "P1"] and dev[d, "P4"] < 0.02 for d in ("orders", "part"))
