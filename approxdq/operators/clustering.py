@@ -81,9 +81,8 @@ def _start(edges: DataFrame, walkers: int, seed: int, start: str) -> DataFrame:
 
 
 def walk(edges: DataFrame, m: float = 1.0, seed: int = 0, walkers: int = 1, start: str = "uniform", steps: int | None = None, most_edges: int = MOST_EDGES) -> DataFrame:
-    """walker, step (from 1), v. Each next vertex is the neighbour whose number is a digest of (seed, walker, step) modulo
+    """walker, step (from 1), v; edges are read several times, so give written ones. Each next vertex is the neighbour whose number is a digest of (seed, walker, step) modulo
     the degree. Walkers share the r steps. Edges go both ways, so a dead end turns back."""
-    edges = cut(edges)
     n = edges.select("src").distinct().count()
     r = steps or steps_for(n, m)
     each = max(3, -(-r // walkers))

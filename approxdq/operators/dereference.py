@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..checkpoints import cut
 from ..functions.uris import owner
 from ..plans import responses as offline
 from . import reservoir
@@ -65,7 +66,7 @@ def sample(triples: DataFrame, domains: int, per_domain: int, seed: int = 0) ->
 def estimate(triples: DataFrame, domains: int, per_domain: int, seed: int = 0, probe: bool = True, weighting: str = "pooled", fetch=snapshot_fetch) -> DataFrame:
     """Two-level sample, then requests. probe: an owner that fails fails all its URIs without further requests.
     ``pooled``: resolved over sampled; ``stratified``: each owner's share weighted by its URIs."""
-    uris = sample(triples, domains, per_domain, seed).select("uri", "pld")
+    uris = cut(sample(triples, domains, per_domain, seed).select("uri", "pld"))  # domains * per_domain rows at most
     if probe:
         alive = domain_probe(uris)
         dead = uris.join(alive.where("not alive"), "pld", "left_semi").withColumn("class", F.lit("server-error"))
@@ -91,7 +92,7 @@ def with_cache(uris: DataFrame, cache: DataFrame, fetch=snapshot_fetch) -> DataF
 
 def requests(triples: DataFrame, domains: int, per_domain: int, seed: int = 0) -> DataFrame:
     """Requests of the estimate (a probe for each owner, then URIs of those alive) and of the exact form."""
-    uris = sample(triples, domains, per_domain, seed)
+    uris = cut(sample(triples, domains, per_domain, seed))
     alive = domain_probe(uris)
     n = uris.join(alive.where("alive"), "pld", "left_semi").agg(F.count(F.lit(1)).alias("uris"))
     return n.crossJoin(alive.agg(F.count(F.lit(1)).alias("probes"))).crossJoin(all_uris(triples).agg(F.count(F.lit(1)).alias("exact"))).select((F.col("uris") + F.col("probes")).alias("estimate"), "exact")

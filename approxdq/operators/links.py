@@ -26,9 +26,10 @@ def from_majority(triples: DataFrame, approx: bool = False) -> DataFrame:
 
 
 def base_uri(triples: DataFrame) -> DataFrame:
-    """The declared one, else that of the majority."""
-    a, b = from_declaration(triples), from_majority(triples).withColumnRenamed("pld", "most")
-    return a.join(b, how="full", on=F.lit(True)).select(F.coalesce("pld", "most").alias("pld"))
+    """The declared one, else that of the majority, which is only counted then (one row comes to the driver)."""
+    declared = from_declaration(triples)
+    found = declared.first()[0]
+    return triples.sparkSession.createDataFrame([(found,)], "pld string") if found is not None else from_majority(triples)
 
 
 def objects(triples: DataFrame) -> DataFrame:

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from ..sources.tables import table
 from .mappings import LINKS_SQL, page_links
@@ -15,8 +16,8 @@ COMMERCE = [("lineitem", "concat('o', l_orderkey)", "concat('p', l_partkey)"), (
 def undirected(pairs: DataFrame) -> DataFrame:
     """src, dst in both directions from any pairs; nulls and loops go."""
     a, b = pairs.columns[:2]
-    both = pairs.select(F.col(a).alias("src"), F.col(b).alias("dst")).where("src <> dst")
-    return both.unionByName(both.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
+    way = lambda x, y: F.struct(F.col(x).alias("src"), F.col(y).alias("dst"))
+    return pairs.where(F.col(a) != F.col(b)).select(F.explode(F.array(way(a, b), way(b, a))).alias("e")).select("e.src", "e.dst").distinct()
 
 
 def from_triples(triples: DataFrame) -> DataFrame:
@@ -25,7 +26,7 @@ def from_triples(triples: DataFrame) -> DataFrame:
 
 
 def commerce(spark: SparkSession, sf_dir: str) -> DataFrame:
-    parts = [table(spark, sf_dir, t).select(F.expr(a).alias("a"), F.expr(b).alias("b")).distinct() for t, a, b in COMMERCE]
+    parts = [table(spark, sf_dir, t).select(F.expr(a).alias("a"), F.expr(b).alias("b")) for t, a, b in COMMERCE]
     whole = parts[0]
     for p in parts[1:]:
         whole = whole.unionByName(p)
@@ -40,15 +41,32 @@ def web(spark: SparkSession, sf_dir: str) -> DataFrame:
     return undirected(links.unionByName(pages.toDF("s", "o")).unionByName(links.select("o", origin(F.col("o"))).toDF("s", "o")))
 
 
+#: Vectors that are sent to every task at most; beyond it blocks are joined.
+MOST_VECTORS = 200_000
+
+
 def knn(spark: SparkSession, sf_dir: str, k: int = 5) -> DataFrame:
-    """k nearest by cosine. Brute force over blocks of a bounded table; for large ones use an index."""
-    e = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda a, b: a * b), F.lit(0.0), lambda s, z: s + z)
-    unit = e.select("vec_id", F.transform("v", lambda x: x / F.sqrt(dot("v", "v"))).alias("v"))
-    other = unit.select(F.col("vec_id").alias("w"), F.col("v").alias("u"))
-    near = unit.join(other, F.col("vec_id") != F.col("w")).select("vec_id", "w", F.round(dot("v", "u"), 9).alias("c"))
-    top = near.withColumn("r", F.row_number().over(Window.partitionBy("vec_id").orderBy(F.desc("c"), "w"))).where(F.col("r") <= k)
-    return undirected(top.select(F.col("vec_id").cast("string").alias("a"), F.col("w").cast("string").alias("b")))
+    """k nearest by cosine, by brute force in blocks: each task compares its rows with all vectors, a checked number."""
+    e = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v")).dropna()
+    n = e.count()
+    if n > MOST_VECTORS:
+        raise ValueError("brute force is for bounded tables; use an index")
+    rows = e.orderBy("vec_id").toPandas()
+    ids, x = rows["vec_id"].to_numpy(), np.stack(rows["v"].to_numpy()) if n else np.zeros((0, 1))
+    shared = spark.sparkContext.broadcast((ids, x / np.linalg.norm(x, axis=1, keepdims=True)))
+
+    def near(batches):
+        ids, unit = shared.value
+        for b in batches:
+            own = b.column("vec_id").to_numpy()
+            at = np.searchsorted(ids, own)
+            for i in range(0, len(at), 256):
+                c = np.round(unit[at[i : i + 256]] @ unit.T, 9)
+                c[np.arange(len(c)), at[i : i + 256]] = -np.inf
+                best = np.stack([np.lexsort((ids, -r))[:k] for r in c])
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(own[i : i + 256], best.shape[1]).astype(str)), pa.array(ids[best.ravel()].astype(str))], names=["a", "b"])
+
+    return undirected(e.select("vec_id").mapInArrow(near, "a string, b string"))
 
 
 _BOTH = "SELECT DISTINCT src, dst FROM (SELECT a AS src, b AS dst FROM ({pairs}) UNION ALL SELECT b, a FROM ({pairs})) WHERE src <> dst"

@@ -54,10 +54,11 @@ def source(spark: SparkSession, sf_dir: str, view: str) -> DataFrame:
     return base.join(table(spark, sf_dir, names[1]), F.expr(names[2]))
 
 
-def triples(spark: SparkSession, sf_dir: str, view: str, predicates: tuple[str, ...] = ()) -> DataFrame:
-    """s, p, o, o_kind, o_datatype of a view (only these predicates, if given; columns that aren't needed aren't read)."""
+def triples(spark: SparkSession, sf_dir: str, view: str, predicates: tuple[str, ...] = (), kind: str | None = None) -> DataFrame:
+    """s, p, o, o_kind, o_datatype of a view (only these predicates or this kind of objects, if given; columns that
+    aren't needed aren't read)."""
     _, subject, columns = VIEWS[view]
-    each = [F.struct(F.lit(p).alias("p"), F.expr(o).cast("string").alias("o"), F.lit(k).alias("o_kind"), F.lit(d).cast("string").alias("o_datatype")) for p, o, k, d in columns if not predicates or p in predicates]
+    each = [F.struct(F.lit(p).alias("p"), F.expr(o).cast("string").alias("o"), F.lit(k).alias("o_kind"), F.lit(d).cast("string").alias("o_datatype")) for p, o, k, d in columns if (not predicates or p in predicates) and kind in (None, k)]
     base = source(spark, sf_dir, view)
     out = base.select(F.expr(subject).alias("s"), F.explode(F.array(*each)).alias("t")).select("s", "t.*").where("o is not null")
     return out.unionByName(page_links(spark, sf_dir)) if view == "pages" and (not predicates or "link" in predicates) else out

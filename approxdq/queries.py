@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .checkpoints import cut
 from .functions import udfs, uris
 from .functions.keys import number, random_key
 from .operators import bloom, catalog, clustering, conciseness, dereference, framework, instances, links, relational, reservoir
@@ -134,7 +135,7 @@ _LINK_VIEWS = ("orders", "lineitem")
 
 
 def _trade(s, d):
-    return mappings.triples(s, d, "orders").unionByName(mappings.triples(s, d, "lineitem")).unionByName(mappings.declaration(s))
+    return mappings.triples(s, d, "orders", kind="uri").unionByName(mappings.triples(s, d, "lineitem", kind="uri")).unionByName(mappings.declaration(s))
 
 
 _TRADE_SQL = f"SELECT * FROM ({T('orders')}) UNION ALL SELECT * FROM ({T('lineitem')}) UNION ALL SELECT 'https://sales.example.net/', 'type', '{mappings.VOCAB}Dataset', 'uri', NULL"
@@ -279,14 +280,19 @@ loc AS (SELECT dg.v, d, coalesce(t, 0) AS t, CASE WHEN d < 2 THEN 0 ELSE 2.0::DO
 """
 
 
+def _graph(s, d, g):
+    """A graph, written once for the several reads of an estimate."""
+    return cut(graphs.GRAPHS[g](s, d))
+
+
 add("graph_degrees", lambda s, d: clustering.degrees(graphs.commerce(s, d)), _DEG(_G["commerce"]))
 _VAL = lambda df: df.withColumn("value", F.round("value", 9))
 for _g in ("commerce", "web", "knn"):
-    add(f"clustering_exact_{_g}", lambda s, d, g=_g: _VAL(clustering.exact(graphs.GRAPHS[g](s, d))), _local_sql(_G[_g]) + "SELECT round(avg(c), 9) AS value, count(*) AS vertices FROM loc")
-add("clustering_local", lambda s, d: clustering.local(graphs.web(s, d)).withColumn("c", F.round("c", 9)), _local_sql(_G["web"]) + "SELECT v, d, t::BIGINT AS t, round(c, 9) AS c FROM loc")
-add("triangles", lambda s, d: clustering.triangles(graphs.commerce(s, d)).agg(F.count(F.lit(1)).alias("n")), _local_sql(_G["commerce"]) + "SELECT count(*) AS n FROM tri")
-add("clustering_global", lambda s, d: _VAL(clustering.exact_global(graphs.commerce(s, d))), _local_sql(_G["commerce"]) + "SELECT sum(t)::BIGINT AS closed, sum(d * (d - 1) // 2)::BIGINT AS wedges, round(sum(t) / sum(d * (d - 1) // 2), 9) AS value FROM loc")
-add("clustering_pairs", lambda s, d: _VAL(clustering.exact_pairs(graphs.web(s, d))), _local_sql(_G["web"]) + "SELECT round(avg(c), 9) AS value, count(*) AS vertices FROM loc")
+    add(f"clustering_exact_{_g}", lambda s, d, g=_g: _VAL(clustering.exact(_graph(s, d, g))), _local_sql(_G[_g]) + "SELECT round(avg(c), 9) AS value, count(*) AS vertices FROM loc")
+add("clustering_local", lambda s, d: clustering.local(_graph(s, d, "web")).withColumn("c", F.round("c", 9)), _local_sql(_G["web"]) + "SELECT v, d, t::BIGINT AS t, round(c, 9) AS c FROM loc")
+add("triangles", lambda s, d: clustering.triangles(_graph(s, d, "commerce")).agg(F.count(F.lit(1)).alias("n")), _local_sql(_G["commerce"]) + "SELECT count(*) AS n FROM tri")
+add("clustering_global", lambda s, d: _VAL(clustering.exact_global(_graph(s, d, "commerce"))), _local_sql(_G["commerce"]) + "SELECT sum(t)::BIGINT AS closed, sum(d * (d - 1) // 2)::BIGINT AS wedges, round(sum(t) / sum(d * (d - 1) // 2), 9) AS value FROM loc")
+add("clustering_pairs", lambda s, d: _VAL(clustering.exact_pairs(_graph(s, d, "web"))), _local_sql(_G["web"]) + "SELECT round(avg(c), 9) AS value, count(*) AS vertices FROM loc")
 
 
 def _walk_sql(g: str, m: float, out: str) -> str:
@@ -303,7 +309,7 @@ _EST = "SELECT count(*) AS steps, round(avg(CASE WHEN closed IS NOT NULL THEN CA
 
 
 def _walked(s, d, g, m, **kw):
-    edges = graphs.GRAPHS[g](s, d)
+    edges = _graph(s, d, g)
     return clustering.walk(edges, m, seed=1, **kw), edges
 
 
@@ -323,9 +329,9 @@ dr AS (SELECT slot, {pick('l')} AS a, {pick('r')} AS b, count(*) AS d FROM slots
 SELECT round(avg(CASE WHEN d > 1 THEN (EXISTS (SELECT 1 FROM e WHERE e.src = dr.a AND e.dst = dr.b))::INT / (d - 1) ELSE 0 END) / avg(1 / d), 9) AS value, count(*) AS steps FROM dr"""
 
 
-add("clustering_one_shot", lambda s, d: _VAL(clustering.one_shot(graphs.web(s, d), 2000, 1)), _one_shot_sql(_G["web"], 2000))
-add("clustering_one_shot_commerce", lambda s, d: _VAL(clustering.one_shot(graphs.commerce(s, d), 5000, 1)), _one_shot_sql(_G["commerce"], 5000))
-add("join_edges", lambda s, d: (lambda e: e.join(clustering.degrees(e).hint("merge").withColumnRenamed("v", "dst"), "dst").groupBy("src").agg(F.sum("d").alias("around")))(graphs.commerce(s, d)), f"SELECT src, sum(d)::BIGINT AS around FROM ({_G['commerce']}) JOIN ({_DEG(_G['commerce'])}) ON dst = v GROUP BY src")
+add("clustering_one_shot", lambda s, d: _VAL(clustering.one_shot(_graph(s, d, "web"), 2000, 1)), _one_shot_sql(_G["web"], 2000))
+add("clustering_one_shot_commerce", lambda s, d: _VAL(clustering.one_shot(_graph(s, d, "commerce"), 5000, 1)), _one_shot_sql(_G["commerce"], 5000))
+add("join_edges", lambda s, d: (lambda e: e.join(clustering.degrees(e).hint("merge").withColumnRenamed("v", "dst"), "dst").groupBy("src").agg(F.sum("d").alias("around")))(_graph(s, d, "commerce")), f"SELECT src, sum(d)::BIGINT AS around FROM ({_G['commerce']}) JOIN ({_DEG(_G['commerce'])}) ON dst = v GROUP BY src")
 add("components_web", lambda s, d: clustering.connected(graphs.web(s, d)).groupBy("component").agg(F.count(F.lit(1)).alias("n")), f"WITH RECURSIVE e AS MATERIALIZED ({_G['web']}), r(v, c) AS (SELECT DISTINCT src, src FROM e UNION SELECT e.dst, r.c FROM r JOIN e ON e.src = r.v WHERE r.c < e.dst), m AS (SELECT v, min(c) AS component FROM r GROUP BY v) SELECT component, count(*) AS n FROM m GROUP BY component")
 
 # -- catalogue ----------------------------------------------------------------------------------------------
