@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.uris import fragment, owner
+from ..functions.uris import fragment
 from . import clustering, dereference, reservoir
 
 # Native tests of literals by datatype.
@@ -138,4 +138,3 @@ def relevant_terms(pages: DataFrame, top: int = 50, iterations: int = 10) -> Dat
     return ratio(title.join(F.broadcast(best.withColumn("hit", F.lit(True))), "term", "left"), F.col("hit").isNotNull())
 
 
-__all__ = [n for n in globals() if not n.startswith("_")] + ["owner"]
