@@ -64,13 +64,18 @@ def pieces(batch: pa.RecordBatch, text: str = "text", most: int = PIECE) -> Iter
         at = to
 
 
-def map_pieces(df: DataFrame, work: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str, text: str = "text") -> DataFrame:
-    """``work`` over each piece of each Arrow batch; narrow, so a lost executor only repeats its own splits."""
+def map_pieces(df: DataFrame, work: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str, text: str = "text", done: Callable[[], None] | None = None) -> DataFrame:
+    """``work`` over each piece of each Arrow batch, ``done`` when a task ends; narrow, so a lost executor only repeats
+    its own splits."""
 
     def run(batches):
-        for batch in batches:
-            for piece in pieces(batch, text):
-                yield work(piece)
+        try:
+            for batch in batches:
+                for piece in pieces(batch, text):
+                    yield work(piece)
+        finally:
+            if done:
+                done()
 
     return df.mapInArrow(run, schema)
 

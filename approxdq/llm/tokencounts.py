@@ -81,7 +81,7 @@ def tokens_by_section(docs: DataFrame, path: str, pattern: str, rule: str = "fir
         ids = pa.array([p[0] for p in parts], pa.int64()).take(pa.array(np.repeat(np.arange(len(parts)), sizes)))
         return pa.RecordBatch.from_arrays([ids, join([np.arange(n) for n in sizes], np.int64), join([np.append(0, p[1][:-1]) for p in parts], np.int64), join([p[1] for p in parts], np.int64), join([p[2] for p in parts], float), join([p[3] for p in parts], np.int64)], schema=_ARROW)
 
-    return C.map_pieces(C.documents(docs), work, SCHEMA)
+    return C.map_pieces(C.documents(docs), work, SCHEMA, done=lambda: encoder(path, pattern).trim())
 
 
 def tokens_by_document(sections: DataFrame) -> DataFrame:

@@ -35,6 +35,7 @@ def test_bpe_equals_the_public_library(spark):
 
 def test_cache_bound_changes_nothing(monkeypatch):
     monkeypatch.setattr(bpe, "REMEMBER", 4)
+    monkeypatch.setattr(bpe, "KEEP", 2)
     small, big = bpe.ByteEncoder(PATH, P.PATTERN), bpe.encoder(PATH, P.PATTERN)
     for t in TEXTS:
         assert small.encode(t or "") == big.encode(t or "")
