@@ -157,6 +157,23 @@ def test_templates_of_a_host_go(spark):
     assert htmltext.main_texts(pages.where("false")).count() == 0
 
 
+def test_nothing_in_an_article_or_main_goes_by_hash(spark):
+    inner = "<b>Same lead</b><span>Same note</span><p>Own %d</p><ul><li>Same item</li></ul><div><section>Same box</section></div><table><tr><td>Same cell</td></tr></table>"
+    whole = "Same lead Same note\nOwn {0}\nSame item\nSame box\nSame cell".replace("lead Same", "leadSame")
+    bodies = {0: "<div>Site line</div><article>%s</article>" % inner, 100: "<div>Site line</div><main>%s</main>" % inner, 200: "<div><div>Site line</div><div>Bare %d</div></div>"}
+    rows = [(i, f"https://h.example.com/{i}", b % i) for at, b in bodies.items() for i in range(at, at + 8)]
+    got = {r.page_id: r.text for r in htmltext.main_texts(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(got[i] == (whole.format(i) if i < 200 else f"Bare {i}") for i, _, _ in rows)
+
+
+def test_copies_of_a_page_make_no_templates(spark):
+    page = "<script>track(%d)</script><div>Lead of %s</div><div><p>Body of %s</p></div>"
+    rows = [(i, f"https://h.example.com/{i}", page % (i, "A" if i < 8 else i, "A" if i < 8 else i)) for i in range(20)]
+    rows += [(i, f"https://all.example.com/{i}", page % (i, "B", "B")) for i in range(20, 40)]
+    got = {r.page_id: r.text for r in htmltext.main_texts(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(got[i] == f"Lead of {x}\nBody of {x}" for i in range(40) for x in ["A" if i < 8 else i if i < 20 else "B"])
+
+
 def test_license_notices(spark):
     texts = ["Released under the MIT License. under the mit license", "under teh MIT licence", "Licensed: CC-BY-NC", "Apache License, Version 2.0", "Permission is hereby granted, free of charge, to any person obtaining a copi", None, "", "cc by ncx", "under the mitlicense"]
     got = {r.doc_id: r for r in licenses.license_notices(frame(spark, texts)).collect()}
