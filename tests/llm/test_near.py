@@ -100,3 +100,44 @@ def test_bound_of_blocks_loses_no_similar_pair():
             if i != j and len(a) and len(b) and table(a, b) <= 0.2 * max(len(a), len(b)) + 1e-9:
                 assert ok[i, j]
     assert not ok.diagonal().any()
+
+
+def edited(r, n, edits):
+    """A text of n words and a copy with so many scattered edits, each a new word, a word less or a word more."""
+    a = [f"w{r.randint(0, 10**9)}" for _ in range(n)]
+    b = list(a)
+    for at in sorted(r.sample(range(n), edits), reverse=True):
+        b[at : at + 1] = r.choice(([f"x{r.randint(0, 10**9)}"], [f"x{r.randint(0, 10**9)}"], [], [b[at], f"x{r.randint(0, 10**9)}"]))
+    return a, b
+
+
+def test_pairs_at_the_threshold_are_found(spark):
+    r = random.Random(17)
+    rows, same = [], 0
+    for n in (5, 6, 9, 10, 14, 15, 20, 25, 35, 50, 60, 100, 200, 400):
+        for _ in range(20):
+            for a, b in (edited(r, n, int(0.2 * n + 1e-9)), edited(r, n, int(0.1 * n + 0.5) if n > 5 else 1)):
+                if table(a, b) <= 0.2 * max(len(a), len(b)) + 1e-9:
+                    rows += [(len(rows), " ".join(a)), (len(rows) + 1, " ".join(b))]
+                    same += 1
+    rows.append((len(rows), "a b c d e f g h i j"))
+    rows.append((len(rows), "a b c d X f g h i j"))
+    got = {x.doc_id: x.class_id for x in om.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    missed = [len(t.split()) for d, t in rows if d % 2 and got[d] != d - 1]
+    assert same > 400 and not [n for n in missed if n <= 45] and len(missed) <= 1
+
+
+def test_exact_keys_of_short_texts_lose_no_similar_pair():
+    r = random.Random(23)
+    for similarity in (0.7, 0.8, 0.9):
+        texts = []
+        for n in range(1, om.SHORT + 1):
+            for _ in range(8):
+                base = [r.randint(0, 60) for _ in range(n)]
+                texts.append((base, [w for w in base for w in r.choices(([w], [99], [], [w, 98]), (8, 1, 0.5, 0.5))[0]] or [97]))
+        flat = [t for p in texts for t in p]
+        rows = np.repeat(np.arange(len(flat)), [len(t) for t in flat])
+        own, keys = om.seeds(np.array([w for t in flat for w in t], np.uint64), rows, len(flat), similarity)
+        of = [set(keys[own == i].tolist()) for i in range(len(flat))]
+        near = [i for i, (a, b) in enumerate(texts) if a != b and max(len(a), len(b)) <= om.SHORT and table(a, b) <= int((1 - similarity) * max(len(a), len(b)) + 1e-9)]
+        assert len(near) > 15 and all(of[2 * i] & of[2 * i + 1] for i in near)
