@@ -3,7 +3,7 @@
 Every document is cut into reference blocks of ``size // 2`` words that don't overlap; they are the
 index. Every rolling window of a block's length probes it. Two equal passages of ``size`` words both
 hold a whole block of their own, which the other's rolling windows meet, so each passage has a hit.
-Around hits, the windows of ``size`` words are compared by 128-bit fingerprints; runs of consecutive
+Hits are extended: around them, the windows of ``size`` words are compared by fingerprints; runs of consecutive
 repeated windows are the maximal exact repeats. A window that also starts earlier (smaller doc_id, or
 the same document further ahead) is removed, that is, all words it covers.
 
@@ -11,8 +11,9 @@ Three passes over chunks (see ``chunks``): blocks and probes to hash ranges and
 hits to hash ranges with their first document and a bit back; then removal. Nothing is sent but distinct
 hashes of a chunk, so hot passages and huge groups of copies stay small.
 
-Null and empty texts have no words. Documents are ordered by doc_id, nulls last; rows that share a doc_id
-are taken as one after the other, ordered by text. Texts of any length are whole.
+Null and empty texts have no words. Documents are ordered by doc_id; rows that share a doc_id are taken as one after
+the other, ordered by text; rows without doc_id come last, in a fixed order of no meaning. Texts of any length are
+whole. Windows are compared by 64 bits from each of two hashes of their words, not word by word.
 """
 
 from __future__ import annotations
@@ -23,6 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import common as C
 from .chunks import MESSAGE, Plan, Reader, Writer, doc_order, merge, merged_hot, messages, ordered, parts, received
@@ -32,15 +34,17 @@ SCHEMA = "doc_id long, n_words long, n_removed long, kept_sha256 string, text st
 
 
 class Words:
-    """Words of a chunk: hashes, row of each, place in its row."""
+    """Words of a chunk: hashes (``second``: of another hash function too), row of each, place in its row."""
 
-    def __init__(self, table: pa.Table):
-        hashes, rows = [], []
+    def __init__(self, table: pa.Table, second: bool = False):
+        hashes, others, rows = [], [], []
         for first, data, offsets in parts(table):
             starts, ends, row = C.word_spans(data, offsets, C.IS_DARK)
             hashes.append(C.span_hashes(data, starts, ends))
+            if second:
+                others.append(C.span_hashes(data, starts, ends, 2))
             rows.append((row + first).astype(np.int32))
-        self.hash = np.concatenate([*hashes, np.zeros(0, np.uint64)])
+        self.hash, self.other = (np.concatenate([*h, np.zeros(0, np.uint64)]) for h in (hashes, others))
         self.row = np.concatenate([*rows, np.zeros(0, np.int32)])
         self.n = np.bincount(self.row, minlength=len(table)).astype(np.int64)
 
@@ -67,9 +71,9 @@ def _probes(words: Words, block: int, bits: int):
 
 
 def _windows(words: Words, candidates: np.ndarray, size: int):
-    """Fingerprints of candidate windows: order of the distinct ones, and which of them each is."""
+    """Fingerprints of candidate windows, by two hashes of their words: the distinct ones, and which of them each is."""
     a = C.gram_hashes(words.hash, size, 1)[candidates] if len(candidates) else np.zeros(0, np.uint64)
-    b = C.gram_hashes(words.hash, size, 2)[candidates] if len(candidates) else np.zeros(0, np.uint64)
+    b = C.gram_hashes(words.other, size, 2)[candidates] if len(candidates) else np.zeros(0, np.uint64)
     order = np.lexsort((b, a))
     new = np.ones(len(order), bool)
     new[1:] = (a[order][1:] != a[order][:-1]) | (b[order][1:] != b[order][:-1])
@@ -98,11 +102,13 @@ def _joined(rows) -> np.ndarray:
     return np.concatenate([*found, np.zeros(0, bool)])
 
 
-def without_repeats(docs: DataFrame, size: int = 20, plan: Plan | None = None) -> DataFrame:
+def without_repeats(docs: DataFrame, size: int = 20, plan: Plan | None = None, carry: bool = False) -> DataFrame:
     """One row per document: words, removed words, digest of the kept words and the text without the removed
-    ones (with the white space after each)."""
+    ones (with the white space after each). ``carry``: also ``rest``, the row's other columns."""
     plan, block = plan or Plan(docs), size // 2
-    dealt = plan.deal(docs)
+    dealt = plan.deal(docs, carry)
+    schema = T._parse_datatype_string(SCHEMA)
+    schema = T.StructType([*schema, *(f for f in dealt.schema if f.name == "rest")])
     bits = min(60, plan.bits)
 
     def anchors(key, table):
@@ -111,7 +117,7 @@ def without_repeats(docs: DataFrame, size: int = 20, plan: Plan | None = None) -
 
     def extend(key, left, right):
         chunk, table = key[0].as_py(), ordered(left)
-        words = Words(table)
+        words = Words(table, True)
         keys, _, _, grams, ok = _probes(words, block, bits)
         hot = keys[_joined(received(right))]
         near = np.minimum(np.searchsorted(hot, grams), max(0, len(hot) - 1))
@@ -129,7 +135,7 @@ def without_repeats(docs: DataFrame, size: int = 20, plan: Plan | None = None) -
 
     def remove(key, left, right):
         table, rows = ordered(left), received(right)
-        words = Words(table)
+        words = Words(table, True)
         mask = next((Reader(body).bits() for bucket, _, body in rows if bucket < 0), np.zeros(len(words.row), bool))
         candidates = np.flatnonzero(mask)
         a, _, first, which = _windows(words, candidates, size)
@@ -143,7 +149,7 @@ def without_repeats(docs: DataFrame, size: int = 20, plan: Plan | None = None) -
 
     hot = merge(dealt.groupBy("chunk").applyInArrow(anchors, MESSAGE), merged_hot)
     first = merge(dealt.groupBy("chunk").cogroup(hot.groupBy("chunk")).applyInArrow(extend, MESSAGE), _merged_first)
-    return dealt.groupBy("chunk").cogroup(first.groupBy("chunk")).applyInArrow(remove, SCHEMA)
+    return dealt.groupBy("chunk").cogroup(first.groupBy("chunk")).applyInArrow(remove, schema)
 
 
 def _result(table: pa.Table, words: Words, gone: np.ndarray) -> pa.Table:
@@ -175,13 +181,18 @@ def _result(table: pa.Table, words: Words, gone: np.ndarray) -> pa.Table:
         cut = np.concatenate([[0], np.cumsum(left)])[offsets]
         texts += [kept[x:y].decode() for x, y in zip(cut, cut[1:], strict=False)]
     nulls = table["text"].is_null().to_pylist()
-    return pa.Table.from_arrays([table["doc_id"].combine_chunks(), pa.array(words.n), pa.array(removed), pa.array(digests, pa.string()), pa.array([None if z else x for z, x in zip(nulls, texts, strict=True)], pa.string())], schema=_OUT)
+    out = pa.Table.from_arrays([table["doc_id"].combine_chunks(), pa.array(words.n), pa.array(removed), pa.array(digests, pa.string()), pa.array([None if z else x for z, x in zip(nulls, texts, strict=True)], pa.string())], schema=_OUT)
+    return out.append_column("rest", table["rest"]) if "rest" in table.column_names else out
 
 
 def deduplicated(docs: DataFrame, size: int = 20) -> DataFrame:
-    """The table with repeated passages cut out of ``text``; other columns stay, n_chars follows the text."""
-    new = without_repeats(docs, size).select(F.col("doc_id").alias("_id"), F.col("text").alias("_new"))
-    out = docs.join(new, docs["doc_id"].eqNullSafe(new["_id"]), "left").withColumn("text", F.col("_new"))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType))
-    return out.select(*docs.columns)
+    """The table with repeated passages cut out of ``text``; each row carries its other columns (of any name) through the
+    passes, n_chars follows the text."""
+    new = without_repeats(docs, size, carry=True)
+
+    def column(c: str):
+        if c == "text":
+            return F.col("text").cast(docs.schema[c].dataType)
+        return F.char_length("text").cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col("rest")[c].alias(c)
+
+    return new.select(*[column(c) for c in docs.columns])

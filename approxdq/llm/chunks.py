@@ -25,22 +25,31 @@ _MESSAGE = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("body", pa
 #: Place of a null doc_id in the order of documents: after all others.
 LAST = (1 << 63) - 1
 #: Text of a chunk, and how many times its size in Parquet a table's text is taken to have.
-CHUNK_BYTES, SWELL = 6 << 20, 2
+CHUNK_BYTES, SWELL, KEYS = 6 << 20, 2, 32
 
 
 class Plan:
-    """Chunks, hash ranges and hash bits for a table of this size (from the optimizer's statistics)."""
+    """Chunks, hash ranges and hash bits for a table of this size (from the optimizer's statistics). A chunk grows with the
+    square root of the table (from 6 MB to about 140 MB at 100 TB), so that a message holds about ``KEYS`` hashes at least and the number of
+    messages, chunks times ranges, grows with the table and not with its square."""
 
     def __init__(self, docs: DataFrame, chunk_bytes: int = CHUNK_BYTES, bytes_per_key: int = 6):
         size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) * SWELL
         size = min(size, 1 << 60)
         partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        chunk_bytes = max(chunk_bytes, math.isqrt(KEYS * bytes_per_key * size // 2)) if chunk_bytes >= CHUNK_BYTES else chunk_bytes
         self.chunks = max(1, min(1 << 30, -(-size // chunk_bytes)))
         self.buckets = max(1, min(1 << 30, max(partitions if size > 1 << 20 else 1, self.chunks // 2)))
         self.bits = min(60, max(40, math.ceil(math.log2(size / bytes_per_key + 2)) + 14))
 
-    def deal(self, docs: DataFrame) -> DataFrame:
-        return C.documents(docs).withColumn("chunk", F.pmod(F.xxhash64("doc_id"), F.lit(self.chunks)).cast("int"))
+    def deal(self, docs: DataFrame, carry: bool = False) -> DataFrame:
+        """doc_id, text, chunk; ``carry``: also the other columns as one struct ``rest``, and ``tie``, a digest of the row.
+        Rows without doc_id are dealt by their text."""
+        C.ship(docs.sparkSession)
+        doc, text = F.col("doc_id").cast("long"), F.col("text").cast("string")
+        chunk = F.pmod(F.xxhash64(F.coalesce(doc, F.xxhash64(text))), F.lit(self.chunks)).cast("int")
+        more = [F.struct(*[docs[c] for c in docs.columns if c != "text"]).alias("rest"), C.row_key(docs)[0].alias("tie")] if carry else []
+        return docs.select(doc.alias("doc_id"), text.alias("text"), chunk.alias("chunk"), *more)
 
     def bucket(self, hashes: np.ndarray, bits: int) -> np.ndarray:
         """Range of each hash; rises with the hash."""
@@ -56,10 +65,10 @@ class Plan:
 
 
 def ordered(table: pa.Table) -> pa.Table:
-    """A chunk's documents in their order: doc_id (nulls last), then text."""
+    """A chunk's documents in their order: doc_id (nulls last), then text, then the digest of the row."""
     table = table.combine_chunks()
     repeated = pc.count_distinct(table["doc_id"], "all").as_py() < len(table)
-    return table.take(pc.sort_indices(table, [("doc_id", "ascending")] + [("text", "ascending")] * repeated, null_placement="at_end"))
+    return table.take(pc.sort_indices(table, [("doc_id", "ascending")] + ([("text", "ascending")] + [("tie", "ascending")] * ("tie" in table.column_names) if repeated else []), null_placement="at_end"))
 
 
 def doc_order(table: pa.Table) -> np.ndarray:

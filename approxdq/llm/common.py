@@ -10,7 +10,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..deploy import ship
@@ -37,6 +37,25 @@ def documents(df: DataFrame) -> DataFrame:
     return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
 
+def row_key(df: DataFrame) -> list[Column]:
+    """Two 64-bit digests of a whole row (all columns), which name it where doc_id is null or repeated."""
+    kinds = {f.name: f.dataType.typeName() for f in df.schema}
+    own = [F.to_json(F.struct(df[c])) if kinds[c] in ("map", "variant") else df[c] for c in df.columns]
+    return [F.xxhash64(F.lit(seed), *own).alias(f"r{seed}") for seed in (1, 2)]
+
+
+#: Row keys that are broadcast at most (16 bytes each); beyond it tables are joined by a shuffle.
+MOST_KEYS = 1 << 20
+
+
+def without(df: DataFrame, rows: DataFrame, how: str = "left_anti", most: int = MOST_KEYS) -> DataFrame:
+    """df less the rows (r1, r2) named by ``row_key`` (``left_semi``: only those); its columns may have any names. Narrow up to
+    ``most`` keys, a checked number."""
+    keyed = df.select(F.struct(*[df[c] for c in df.columns]).alias("row"), *row_key(df))
+    side = F.broadcast(rows) if rows.count() <= most else rows
+    return keyed.join(side.select("r1", "r2"), ["r1", "r2"], how).select("row.*")
+
+
 def flat(column) -> tuple[np.ndarray, np.ndarray]:
     """Bytes of all strings (null: empty) end to end, and where each begins (one more than strings)."""
     if isinstance(column, pa.ChunkedArray):

@@ -1,7 +1,7 @@
 """Language of a text: a bidirectional gated recurrent network over its bytes, in NumPy.
 
 Training (on the driver): at most ``per_lang`` labelled documents of each language, those of the smallest hash
-of doc_id, and of each a stretch of ``stretch`` characters at a hashed place; both bounds are parameters.
+of doc_id (at most ``most_langs`` languages), and of each a stretch of ``stretch`` characters at a hashed place; both bounds are parameters.
 Back-propagation through time with Adam from fixed seeds, so the model depends on the sample alone.
 
 Prediction: every byte of the whole text is read, in segments of ``SEGMENT`` bytes; the network has a state for
@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -160,18 +161,22 @@ def held_out() -> F.Column:
     return F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0
 
 
-def fit(docs: DataFrame, per_lang: int = 400, stretch: int = 3000, steps: int = 500) -> ByteGRU | None:
-    """A model from labelled rows that aren't held out; None without any. Only languages of such rows are learnt."""
+def fit(docs: DataFrame, per_lang: int = 400, stretch: int = 3000, steps: int = 500, most_langs: int = 256) -> ByteGRU | None:
+    """A model from labelled rows that aren't held out; None without any. Only languages of such rows are learnt, the
+    ``most_langs`` of most rows. Rows are counted by language first, which gives each a bar on the hash that about twice
+    ``per_lang`` rows pass; only these are shuffled, so a hot language costs as much as any other."""
     doc = F.col("doc_id").cast("string")
     at = F.lit(1) + F.pmod(F.xxhash64(F.lit("place"), doc), F.greatest(F.lit(1), F.char_length("text") - stretch))
     able = docs.where(F.col("text").isNotNull() & F.col("lang").isNotNull() & ~F.coalesce(held_out(), F.lit(False)))
-    keyed = able.select("lang", F.xxhash64(doc).alias("key")).distinct()
-    place = F.row_number().over(Window.partitionBy("lang").orderBy("key"))
-    bars = keyed.withColumn("place", place).where(F.col("place") <= per_lang).groupBy("lang").agg(F.max("key").alias("bar"))  # a row for each language
-    own = able.withColumn("key", F.xxhash64(doc)).join(F.broadcast(bars), "lang").where("key <= bar")
-    rows = sorted(own.select("lang", "key", F.col("text").substr(at, F.lit(stretch)).alias("text")).distinct().collect())
-    if not rows:
+    sizes = able.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(most_langs).collect()
+    if not sizes:
         return None
+    bars = [(r.lang, (1 << 63) - 1 if r.n <= 2 * per_lang else int(2 * per_lang / r.n * 2.0**64) - (1 << 63)) for r in sizes]
+    bar = docs.sparkSession.createDataFrame(bars, "lang string, bar long")
+    own = able.select(F.col("lang").cast("string").alias("lang"), F.xxhash64(doc).alias("key"), F.col("text").substr(at, F.lit(stretch)).alias("text"))
+    own = own.join(F.broadcast(bar), "lang").where("key <= bar").select("lang", "key", "text").distinct()
+    place = F.row_number().over(Window.partitionBy("lang").orderBy("key", "text"))
+    rows = sorted(own.withColumn("place", place).where(F.col("place") <= per_lang).select("lang", "key", "text").collect())
     langs = sorted({r.lang for r in rows})
     return ByteGRU(langs).train([r.text.encode() for r in rows], [langs.index(r.lang) for r in rows], steps=steps)
 
@@ -179,22 +184,31 @@ def fit(docs: DataFrame, per_lang: int = 400, stretch: int = 3000, steps: int =
 _OUT = pa.schema([("doc_id", pa.int64()), ("lang_pred", pa.string()), ("score", pa.float64())])
 
 
+class Guesser:
+    """Language and score of each text of a column."""
+
+    def __init__(self, langs: list[str], p: dict[str, np.ndarray]):
+        self.net = ByteGRU(langs)
+        self.net.p = p
+
+    def guess(self, column) -> tuple[list[str], np.ndarray]:
+        letter = pc.fill_null(pc.match_substring_regex(column, r"\p{L}"), False).to_numpy(zero_copy_only=False)
+        prob = self.net.pooled(*C.flat(column))
+        best = prob.argmax(1)
+        score = np.clip(np.where(letter, prob[np.arange(len(best)), best], 0.0), 0.0, 1.0)
+        return [self.net.langs[b] if ok else "und" for b, ok in zip(best, letter, strict=True)], score
+
+
 def predict(docs: DataFrame, model: ByteGRU | None) -> DataFrame:
     """One row per document: doc_id, lang_pred, score."""
-    own = C.documents(docs).withColumn("letter", F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False)))
+    own = C.documents(docs)
     if model is None:
         return own.select("doc_id", F.lit("und").alias("lang_pred"), F.lit(0.0).alias("score"))
     shared = docs.sparkSession.sparkContext.broadcast((model.langs, model.p))
 
     def work(piece: pa.RecordBatch) -> pa.RecordBatch:
-        langs, p = shared.value
-        net = ByteGRU(langs)
-        net.p = p
-        letter = piece.column("letter").to_numpy(zero_copy_only=False).astype(bool)
-        prob = net.pooled(*C.flat(piece.column("text")))
-        best = prob.argmax(1)
-        score = np.clip(np.where(letter, prob[np.arange(len(best)), best], 0.0), 0.0, 1.0)
-        return pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array([langs[b] if ok else "und" for b, ok in zip(best, letter, strict=True)], pa.string()), pa.array(score)], schema=_OUT)
+        lang, score = Guesser(*shared.value).guess(piece.column("text"))
+        return pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(lang, pa.string()), pa.array(score)], schema=_OUT)
 
     return C.map_pieces(own, work, "doc_id long, lang_pred string, score double")
 
@@ -206,6 +220,16 @@ def identified(docs: DataFrame, **bounds) -> DataFrame:
 
 
 def accepted(docs: DataFrame, least: float = 0.3, **bounds) -> DataFrame:
-    """Documents whose language is known with at least this score; the others are rejected."""
-    good = predict(docs, fit(docs, **bounds)).where((F.col("lang_pred") != "und") & (F.col("score") >= least)).select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(good, docs["doc_id"].eqNullSafe(good["_id"]), "left_semi")
+    """Documents whose language is known with at least this score; the others are rejected. Each row is judged by its own
+    text in one narrow pass that carries all its columns."""
+    model = fit(docs, **bounds)
+    if model is None:
+        return docs.where(F.lit(False))
+    C.ship(docs.sparkSession)
+    shared, at = docs.sparkSession.sparkContext.broadcast((model.langs, model.p)), docs.columns.index("text")
+
+    def work(piece: pa.RecordBatch) -> pa.RecordBatch:
+        lang, score = Guesser(*shared.value).guess(piece.column(at))
+        return piece.filter(pa.array([x != "und" and s >= least for x, s in zip(lang, score.tolist(), strict=True)], pa.bool_()))
+
+    return C.map_pieces(docs, work, docs.schema)

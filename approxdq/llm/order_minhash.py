@@ -7,20 +7,23 @@ count against them. A text of fewer than 3 words is one run. Sketches of few wor
 ``SHORT`` words have exact keys besides: e edits leave the longer of two texts, of N words, N - e words in e + 1 runs
 at most, so two similar texts share a run of (N - e) / (e + 1) words, rounded up.
 
-1. Equal word sequences are collapsed to the one of the smallest doc_id; only these representatives go on.
-2. Representatives that share a sketch or an exact key are candidates. First each bucket pairs its members with its smallest
-   one, which settles groups of near copies in as many pairs as members. Only buckets that then still hold two
-   classes go on: up to ``SMALL`` members, with all their pairs across classes; larger ones (a common passage)
-   are compared and verified block by block, after a bound by pairs of adjacent words.
-   So no bucket is capped, and no pair that could join two classes is left out.
+1. Equal word sequences are collapsed to one representative, named by a 128-bit digest; only these go on.
+2. Representatives that share a sketch or an exact key are candidates, in three rounds. First each one is paired with
+   the least of all members of its buckets: one pair for each, which settles groups of near copies. In the buckets
+   that then still hold two classes, each member is paired with the bucket's least one, if of another class. Only
+   buckets that even then hold two classes go on: up to ``SMALL`` members, with all their pairs across
+   classes; larger ones (a common passage) are compared and verified block by block, after a bound by pairs of adjacent
+   words. So no bucket is capped, and no pair that could join two classes is left out.
 3. Candidates are verified: edit distance of the word sequences, aligned within the
    band that ``similarity`` = 0.8 allows (1 - edits / longer length), after a bound by common words.
-4. Classes are connected components of the verified links.
+4. Classes are connected components of the verified links; each round works on the classes of the one before.
 
 Measured on pairs of texts of distinct words with scattered substitutions: at edit similarity 0.8 the keys miss none of
 3,000 pairs of 20 and 50 words and 6 of 5,000 of 60 to 600 words; at 0.85 and at 0.9 none of 3,200 each. Texts of at most
 ``SHORT`` words miss none by construction. Texts without words are grouped if they are equal byte by
-byte; a null text is alone. Rows that share a doc_id are one document if their words are equal.
+byte; a null text is alone. Every row is judged by its own text, whether its doc_id is null or repeated; a class is
+named by its smallest doc_id (null, if it has none), and stands for itself by the row of that doc_id (of several, that of
+the least digest of the row; rows that are equal in every column are one).
 """
 
 from __future__ import annotations
@@ -116,11 +119,16 @@ def seeds(words: np.ndarray, rows: np.ndarray, n_rows: int, similarity: float) -
     return np.concatenate(found), np.concatenate(keys)
 
 
-_SIG = pa.schema([("doc_id", pa.int64()), ("copy", pa.binary()), ("n", pa.int32()), ("keys", pa.list_(pa.int64()))])
+_SIG = pa.schema([("doc_id", pa.int64()), ("r1", pa.int64()), ("r2", pa.int64()), ("copy", pa.binary()), ("n", pa.int32()), ("keys", pa.list_(pa.int64()))])
+
+
+def _name(words: np.ndarray) -> bytes:
+    """The digest that names a sequence of words."""
+    return hashlib.blake2b(words.tobytes(), digest_size=16).digest()
 
 
 def signatures(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
-    """doc_id, copy (digest of the word sequence, null for a null text), n words, keys (sketches and exact ones; null without words)."""
+    """doc_id, r1, r2 (digests of the row), copy (digest of the word sequence, null for a null text), n words, keys (sketches and exact ones; null without words)."""
 
     def work(piece: pa.RecordBatch) -> pa.RecordBatch:
         data, offsets = C.flat(piece.column("text"))
@@ -134,10 +142,12 @@ def signatures(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
         keys = [np.append(k, more) for k, more in zip(sketches(words, rows, piece.num_rows).view(np.int64), exact, strict=True)]
         edges = np.append(0, np.cumsum(n))
         null = piece.column("text").is_null().to_pylist()
-        copy = [None if null[i] else hashlib.blake2b(words[edges[i] : edges[i + 1]].tobytes() if n[i] else b"raw" + data[offsets[i] : offsets[i + 1]].tobytes(), digest_size=16).digest() for i in range(piece.num_rows)]
-        return pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(copy, pa.binary()), pa.array(n, pa.int32()), pa.array([k if m else None for k, m in zip(keys, n, strict=True)], pa.list_(pa.int64()))], schema=_SIG)
+        copy = [None if null[i] else _name(words[edges[i] : edges[i + 1]]) if n[i] else hashlib.blake2b(b"raw" + data[offsets[i] : offsets[i + 1]].tobytes(), digest_size=16).digest() for i in range(piece.num_rows)]
+        return pa.RecordBatch.from_arrays([*(piece.column(c) for c in ("doc_id", "r1", "r2")), pa.array(copy, pa.binary()), pa.array(n, pa.int32()), pa.array([k if m else None for k, m in zip(keys, n, strict=True)], pa.list_(pa.int64()))], schema=_SIG)
 
-    return C.map_pieces(C.documents(docs), work, "doc_id long, copy binary, n int, keys array<long>")
+    C.ship(docs.sparkSession)
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *C.row_key(docs))
+    return C.map_pieces(rows, work, "doc_id long, r1 long, r2 long, copy binary, n int, keys array<long>")
 
 
 def edit_distance(a: np.ndarray, b: np.ndarray, most: int) -> int | None:
@@ -192,21 +202,25 @@ def similar(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
     return edit_distance(a, b, most) is not None
 
 
-#: Ids that are broadcast at most (8 bytes each); beyond it the documents are joined by a shuffle.
+#: Names that are broadcast at most (16 bytes each); beyond it the documents are joined by a shuffle.
 MOST_IDS = 1 << 20
 
 
-def _words_of(docs: DataFrame, ids: DataFrame, form) -> DataFrame:
-    """doc_id, words: what ``form(hashes of words, rows, number of rows)`` makes of these documents."""
-    side = F.broadcast(ids) if ids.count() <= MOST_IDS else ids
+def _words_of(docs: DataFrame, own: DataFrame, ids: DataFrame) -> DataFrame:
+    """id, words of these representatives: read from the row that stands for each (own: id, r1, r2 of it)."""
+    wanted = own.join(ids, "id", "left_semi").select("r1", "r2")
+    texts = C.without(docs, wanted, "left_semi", MOST_IDS).select(F.col("text").cast("string").alias("text"))
 
     def words(piece: pa.RecordBatch) -> pa.RecordBatch:
         data, offsets = C.flat(piece.column("text"))
         low = C.LOWER[data]
         starts, ends, rows = C.word_spans(low, offsets, C.IS_WORD)
-        return pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(form(C.span_hashes(low, starts, ends), rows, piece.num_rows), pa.binary())], names=["doc_id", "words"])
+        hashes = C.span_hashes(low, starts, ends)
+        edges = np.append(0, np.cumsum(np.bincount(rows, minlength=piece.num_rows)))
+        names = [_name(hashes[x:y]) for x, y in zip(edges, edges[1:], strict=False)]
+        return pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), pa.array(_sequence(hashes, rows, piece.num_rows), pa.binary())], names=["id", "words"])
 
-    return C.map_pieces(C.documents(docs).join(side, "doc_id", "left_semi"), words, "doc_id long, words binary").dropDuplicates(["doc_id"])
+    return C.map_pieces(texts, words, "id binary, words binary").dropDuplicates(["id"])
 
 
 def _sequence(words: np.ndarray, rows: np.ndarray, n: int) -> list[bytes]:
@@ -215,17 +229,17 @@ def _sequence(words: np.ndarray, rows: np.ndarray, n: int) -> list[bytes]:
     return [body[x:y].tobytes() for x, y in zip(edges, edges[1:], strict=False)]
 
 
-def verify(pairs: DataFrame, docs: DataFrame, similarity: float) -> DataFrame:
-    """pairs (a, b; a written table) with ``ok``. Only words of documents in pairs move, four bytes a word."""
-    own = _words_of(docs, pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), _sequence)
+def verify(pairs: DataFrame, docs: DataFrame, own: DataFrame, similarity: float) -> DataFrame:
+    """pairs (a, b; a written table) with ``ok``. Only words of representatives in pairs move, four bytes a word."""
+    words = _words_of(docs, own, pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct())
 
     def check(batches):
         for batch in batches:
             ok = [similar(np.frombuffer(x, np.uint32), np.frombuffer(y, np.uint32), similarity) for x, y in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(ok, pa.bool_())], names=["a", "b", "ok"])
 
-    joined = pairs.join(own.select(F.col("doc_id").alias("b"), F.col("words").alias("y")), "b").join(own.select(F.col("doc_id").alias("a"), F.col("words").alias("x")), "a")
-    return joined.select("a", "b", "x", "y").mapInArrow(check, "a long, b long, ok boolean")
+    joined = pairs.join(words.select(F.col("id").alias("b"), F.col("words").alias("y")), "b").join(words.select(F.col("id").alias("a"), F.col("words").alias("x")), "a")
+    return joined.select("a", "b", "x", "y").mapInArrow(check, "a binary, b binary, ok boolean")
 
 
 def _buckets(members: DataFrame) -> DataFrame:
@@ -234,10 +248,9 @@ def _buckets(members: DataFrame) -> DataFrame:
     return cut(members.join(sizes, "key"))
 
 
-def _mixed(buckets: DataFrame, found: DataFrame) -> DataFrame:
-    """Members of the buckets that still hold two classes or more, with their class so far."""
-    classes = components(found)
-    own = buckets.join(classes.select("id", "label"), "id", "left").withColumn("label", F.coalesce("label", "id"))
+def _mixed(buckets: DataFrame, label: DataFrame) -> DataFrame:
+    """Members of the buckets that hold two classes or more, with their class (label: id, label of those that aren't alone)."""
+    own = buckets.drop("label").join(label, "id", "left").withColumn("label", F.coalesce("label", "id"))
     mixed = own.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("key")
     return cut(own.join(mixed, "key"))
 
@@ -272,20 +285,21 @@ def possible(n: np.ndarray, label: np.ndarray, counts: np.ndarray, m: np.ndarray
     return ok
 
 
-def _blocks(members: DataFrame, rows: DataFrame, docs: DataFrame, similarity: float) -> DataFrame:
+def _blocks(members: DataFrame, rows: DataFrame, docs: DataFrame, own: DataFrame, similarity: float) -> DataFrame:
     """Verified links across classes in large buckets (key, id, n, label, size): members are dealt to blocks, and blocks are
     compared two by two in tasks of their own, so a common passage makes no rows of pairs. A pair is compared in the
     bucket of its least common key only, and not if links found before in the task join its classes."""
-    ids = members.select(F.col("id").alias("doc_id")).distinct()
-    words = _words_of(docs, ids, _sequence).withColumnRenamed("doc_id", "id")
+    words = _words_of(docs, own, members.select("id").distinct())
     blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-    own = members.withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).join(words, "id").join(rows.select(F.col("doc_id").alias("id"), "keys"), "id")
+    own = members.withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).join(words, "id").join(rows.select("id", "keys"), "id")
     dealt = own.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1))).select("key", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "id", "n", "label", "words", "keys")
 
     def compare(key, table):
         table = table.combine_chunks().sort_by("id")
         bucket, lo, hi = (k.as_py() for k in key)
-        block, ids, n, label = (table[c].to_numpy() for c in ("block", "id", "n", "label"))
+        block, n = table["block"].to_numpy(), table["n"].to_numpy()
+        ids, named = table["id"].to_pylist(), {x: i for i, x in enumerate(sorted(set(table["label"].to_pylist())))}
+        label = np.array([named[x] for x in table["label"].to_pylist()], np.int64)
         body = [np.frombuffer(w, np.uint32) for w in table["words"].to_pylist()]
         keys = [np.unique(k.values.to_numpy()) for k in table["keys"]]
         counts = pair_counts(np.concatenate(body).astype(np.uint64), np.repeat(np.arange(len(body)), [len(w) for w in body]), len(body))
@@ -307,27 +321,44 @@ def _blocks(members: DataFrame, rows: DataFrame, docs: DataFrame, similarity: fl
                     up[max(p, q)] = min(p, q)
                     out_a.append(min(ids[i], ids[j]))
                     out_b.append(max(ids[i], ids[j]))
-        return pa.table({"a": pa.array(out_a, pa.int64()), "b": pa.array(out_b, pa.int64())})
-
-    return dealt.groupBy("key", "lo", "hi").applyInArrow(compare, "a long, b long")
+        return pa.table({"a": pa.array(out_a, pa.binary()), "b": pa.array(out_b, pa.binary())})
 
+    return dealt.groupBy("key", "lo", "hi").applyInArrow(compare, "a binary, b binary")
 
-def _star(buckets: DataFrame) -> DataFrame:
-    return buckets.where(F.col("id") != F.col("first")).select(F.col("first").alias("a"), F.col("id").alias("b"))
 
-
-def links(reps: DataFrame, docs: DataFrame, similarity: float = 0.8) -> DataFrame:
-    """Verified pairs (a, b), a < b, of representatives (doc_id, n, keys)."""
+def classes(reps: DataFrame, docs: DataFrame, similarity: float = 0.8) -> tuple[DataFrame, DataFrame]:
+    """label (id, label) of the representatives (id, r1, r2, n, keys) that aren't alone, and the verified links (a, b)."""
     rows = reps.where(F.col("keys").isNotNull())
-    buckets = _buckets(rows.select(F.explode("keys").alias("key"), F.col("doc_id").alias("id"), "n"))
-    tested = cut(verify(cut(_star(buckets).distinct()), docs, similarity))
-    mixed = _mixed(buckets, tested.where("ok"))
-    large = mixed.where(F.col("size") > SMALL)
-    pairs = cut(_across(mixed.where(F.col("size") <= SMALL), similarity).distinct().join(tested, ["a", "b"], "left_anti"))
-    if not pairs.isEmpty():
-        tested = tested.unionByName(cut(verify(pairs, docs, similarity)))
+    own = reps.select("id", "r1", "r2")
+    buckets = _buckets(rows.select(F.explode("keys").alias("key"), "id", "n"))
+    least = buckets.groupBy("id").agg(F.min("first").alias("a")).where("a <> id").select("a", F.col("id").alias("b"))
+    tested = cut(verify(cut(least), docs, own, similarity))
     found = tested.where("ok").select("a", "b")
-    return found if large.isEmpty() else found.unionByName(cut(_blocks(large, rows, docs, similarity))).distinct()
+    label = components(found)
+    mixed = _mixed(buckets, label)
+    star = mixed.select(F.col("first").alias("a"), "label", F.col("id").alias("b")).where("a <> b").join(label.select(F.col("id").alias("a"), F.col("label").alias("other")), "a", "left").where(F.col("label") != F.coalesce("other", "a"))
+    for pairs in (lambda: star.select("a", "b"), lambda: _across(mixed.where(F.col("size") <= SMALL), similarity)):
+        new = cut(pairs().distinct().join(tested, ["a", "b"], "left_anti"))
+        if not new.isEmpty():
+            got = cut(verify(new, docs, own, similarity))
+            tested = tested.unionByName(got)
+            label, mixed, found = _joined(label, mixed, got.where("ok").select("a", "b"), found)
+    large = mixed.where(F.col("size") > SMALL)
+    if not large.isEmpty():
+        label, mixed, found = _joined(label, mixed, cut(_blocks(large, rows, docs, own, similarity)).distinct(), found)
+    return label, found.distinct()
+
+
+def _joined(label: DataFrame, mixed: DataFrame, new: DataFrame, found: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Labels, buckets that are still mixed, and links, with new links between classes."""
+    if new.isEmpty():
+        return label, mixed, found
+    of = lambda c: label.select(F.col("id").alias(c), F.col("label").alias(f"l{c}"))
+    roots = new.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b")).where("a <> b").distinct()
+    up = components(roots)
+    old = label.join(up.select(F.col("id").alias("label"), F.col("label").alias("top")), "label", "left").select("id", F.coalesce("top", "label").alias("label"))
+    label = cut(old.unionByName(up.join(label, "id", "left_anti")))
+    return label, _mixed(mixed, label), found.unionByName(new)
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -346,22 +377,36 @@ def components(edges: DataFrame) -> DataFrame:
         label = new.select("id", "label")
 
 
+def _flags(docs: DataFrame, similarity: float) -> DataFrame:
+    """Each row's doc_id, r1, r2, copy, class_id, n_copies, n_links and kept."""
+    own = cut(signatures(docs, similarity))
+    order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "r1", "r2")
+    groups = own.where("copy is not null").groupBy(F.col("copy").alias("id")).agg(F.min(order).alias("best"), F.count(F.lit(1)).alias("n_copies"), F.min_by("n", order).alias("n"), F.min_by("keys", order).alias("keys"))
+    groups = cut(groups.select("id", "best", "best.r1", "best.r2", "n_copies", "n", "keys"))
+    label, links = classes(groups.select("id", "r1", "r2", "n", "keys"), docs, similarity)
+    degree = links.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count(F.lit(1)).alias("n_links"))
+    found = groups.select("id", "best", "n_copies").join(label, "id", "left").join(degree, "id", "left").select("id", "best", "n_copies", F.coalesce("label", "id").alias("label"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    found = cut(found)
+    top = found.groupBy("label").agg(F.min("best").alias("top"))
+    named = found.join(top, "label").select(F.col("id").alias("copy"), "top", "n_copies", "n_links")
+    rows = own.select("doc_id", "r1", "r2", "copy").join(named, "copy", "left")
+    alone = F.col("copy").isNull()
+    kept = alone | ((F.col("r1") == F.col("top.r1")) & (F.col("r2") == F.col("top.r2")))
+    return rows.select("doc_id", "r1", "r2", "copy", F.when(alone, F.col("doc_id")).otherwise(F.col("top.doc_id")).alias("class_id"), F.coalesce("n_copies", F.lit(1)).alias("n_copies"), F.coalesce("n_links", F.lit(0)).alias("n_links"), kept.alias("kept"))
+
+
 def near_duplicates(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     """One row per document: doc_id, class_id (smallest doc_id of its class), n_copies (documents with its words),
     n_links (links of its representative to other texts that were verified to settle the classes), kept (it stands for its class)."""
-    own = cut(signatures(docs, similarity).where(F.col("doc_id").isNotNull()))
-    groups = own.where("copy is not null").groupBy("copy").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n_copies"), F.min_by("n", "doc_id").alias("n"), F.min_by("keys", "doc_id").alias("keys"))
-    groups = cut(groups)
-    edges = cut(links(groups.select(F.col("rep").alias("doc_id"), "n", "keys"), docs, similarity))
-    label = components(edges)
-    degree = edges.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count(F.lit(1)).alias("n_links"))
-    classes = groups.select("copy", "rep", "n_copies").join(label.withColumnRenamed("id", "rep"), "rep", "left").join(degree, "rep", "left").select("copy", F.coalesce("label", "rep").alias("class_id"), "n_copies", F.coalesce("n_links", F.lit(0)).alias("n_links"))
-    out = own.select("doc_id", "copy").join(classes, "copy", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("n_copies", F.lit(1)).alias("n_copies"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
-    alone = signatures(docs.where(F.col("doc_id").isNull())).select("doc_id", F.lit(None).cast("long").alias("class_id"), F.lit(1).cast("long").alias("n_copies"), F.lit(0).cast("long").alias("n_links"))
-    return out.unionByName(alone).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True)))
+    return _flags(docs, similarity).drop("r1", "r2", "copy")
 
 
 def one_of_each(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
-    """The documents that stand for their class, with all columns."""
-    kept = near_duplicates(docs, similarity).where("kept").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(kept, docs["doc_id"].eqNullSafe(kept["_id"]), "left_semi")
+    """The rows that stand for their class, with all columns; of rows that are equal in every column, one."""
+    flags = cut(_flags(docs, similarity).where("copy is not null").select("r1", "r2", "kept"))
+    twins = cut(flags.where("kept").groupBy("r1", "r2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("r1", "r2"))
+    out = C.without(docs, flags.where("not kept").select("r1", "r2").distinct())
+    if twins.isEmpty():
+        return out
+    once = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"), *C.row_key(docs)).join(twins, ["r1", "r2"], "left_semi")
+    return C.without(out, twins).unionByName(once.groupBy("r1", "r2").agg(F.first("row").alias("row")).select("row.*"))
