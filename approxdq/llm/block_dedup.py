@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import common as C
-from .chunks import MESSAGE, Plan, Reader, Writer, doc_order, merge, merged_hot, messages, ordered, parts, received
+from .chunks import MESSAGE, Plan, Reader, Writer, doc_order, merge, merged_hot, messages, ordered, parts, received, released
 
 _OUT = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept_sha256", pa.string()), ("text", pa.string())])
 SCHEMA = "doc_id long, n_words long, n_removed long, kept_sha256 string, text string"
@@ -147,9 +147,9 @@ def without_repeats(docs: DataFrame, size: int = 20, plan: Plan | None = None, c
         np.add.at(cover, candidates[repeated] + size, -1)
         return _result(table, words, np.cumsum(cover[:-1]) > 0)
 
-    hot = merge(dealt.groupBy("chunk").applyInArrow(anchors, MESSAGE), merged_hot)
-    first = merge(dealt.groupBy("chunk").cogroup(hot.groupBy("chunk")).applyInArrow(extend, MESSAGE), _merged_first)
-    return dealt.groupBy("chunk").cogroup(first.groupBy("chunk")).applyInArrow(remove, schema)
+    hot = merge(dealt.groupBy("chunk").applyInArrow(released(anchors), MESSAGE), merged_hot)
+    first = merge(dealt.groupBy("chunk").cogroup(hot.groupBy("chunk")).applyInArrow(released(extend), MESSAGE), _merged_first)
+    return dealt.groupBy("chunk").cogroup(first.groupBy("chunk")).applyInArrow(released(remove), schema)
 
 
 def _result(table: pa.Table, words: Words, gone: np.ndarray) -> pa.Table:

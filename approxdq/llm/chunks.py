@@ -137,6 +137,22 @@ class Reader:
         return np.unpackbits(np.frombuffer(self._take((n + 7) // 8), np.uint8), count=n).astype(bool)
 
 
+def released(work):
+    """A function of groups that gives its memory back when it is done with one."""
+
+    def one(key, table):
+        out = work(key, table)
+        C.release()
+        return out
+
+    def two(key, left, right):
+        out = work(key, left, right)
+        C.release()
+        return out
+
+    return one if work.__code__.co_argcount == 2 else two
+
+
 def messages(rows: list[tuple[int, int, bytes]]) -> pa.Table:
     return pa.Table.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.binary())], schema=_MESSAGE)
 
@@ -155,7 +171,7 @@ def merge(sent: DataFrame, answer) -> DataFrame:
         return messages([(b, c, body) for (b, c, _), body in zip(rows, answer([Reader(r[2]) for r in rows]), strict=True)])
 
     lane = F.when(F.col("bucket") < 0, -1 - F.col("chunk")).otherwise(F.col("bucket"))
-    return sent.withColumn("lane", lane).groupBy("lane").applyInArrow(lambda key, table: run(key, table.drop_columns(["lane"])), MESSAGE)
+    return sent.withColumn("lane", lane).groupBy("lane").applyInArrow(released(lambda key, table: run(key, table.drop_columns(["lane"]))), MESSAGE)
 
 
 def merged_hot(readers: list[Reader]) -> list[bytes]:

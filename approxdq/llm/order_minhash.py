@@ -8,10 +8,9 @@ count against them. A text of fewer than 3 words is one run. Sketches of few wor
 at most, so two similar texts share a run of (N - e) / (e + 1) words, rounded up.
 
 1. Equal word sequences are collapsed to one representative, named by a 128-bit digest; only these go on.
-2. Representatives that share a sketch or an exact key are candidates, in three rounds. First each one is paired with
-   the least of all members of its buckets: one pair for each, which settles groups of near copies. In the buckets
-   that then still hold two classes, each member is paired with the bucket's least one, if of another class. Only
-   buckets that even then hold two classes go on: up to ``SMALL`` members, with all their pairs across
+2. Representatives that share a sketch or an exact key are candidates, in two rounds. First each one is paired with
+   the member that is most often the least one of its buckets: one pair for each, which settles groups of near
+   copies. Only the buckets that then still hold two classes go on: up to ``SMALL`` members, with all their pairs across
    classes; larger ones (a common passage) are compared and verified block by block, after a bound by pairs of adjacent
    words. So no bucket is capped, and no pair that could join two classes is left out.
 3. Candidates are verified: edit distance of the word sequences, aligned within the
@@ -38,7 +37,7 @@ from pyspark.sql import functions as F
 from ..checkpoints import cut
 from . import common as C
 
-K, TAKE, SKETCHES, SHORT, SMALL, BLOCK, BINS = 3, 2, 64, 50, 64, 512, 256
+K, TAKE, SKETCHES, SHORT, SMALL, BLOCK, BINS = 3, 2, 64, 50, 64, 1024, 256
 
 
 def sketches(words: np.ndarray, rows: np.ndarray, n_rows: int, k: int = K, take: int = TAKE, count: int = SKETCHES) -> np.ndarray:
@@ -229,9 +228,8 @@ def _sequence(words: np.ndarray, rows: np.ndarray, n: int) -> list[bytes]:
     return [body[x:y].tobytes() for x, y in zip(edges, edges[1:], strict=False)]
 
 
-def verify(pairs: DataFrame, docs: DataFrame, own: DataFrame, similarity: float) -> DataFrame:
-    """pairs (a, b; a written table) with ``ok``. Only words of representatives in pairs move, four bytes a word."""
-    words = _words_of(docs, own, pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct())
+def verify(pairs: DataFrame, words: DataFrame, similarity: float) -> DataFrame:
+    """pairs (a, b) with ``ok``; words: id, words of representatives, four bytes a word."""
 
     def check(batches):
         for batch in batches:
@@ -285,24 +283,24 @@ def possible(n: np.ndarray, label: np.ndarray, counts: np.ndarray, m: np.ndarray
     return ok
 
 
-def _blocks(members: DataFrame, rows: DataFrame, docs: DataFrame, own: DataFrame, similarity: float) -> DataFrame:
+def _blocks(members: DataFrame, words: DataFrame, similarity: float) -> DataFrame:
     """Verified links across classes in large buckets (key, id, n, label, size): members are dealt to blocks, and blocks are
     compared two by two in tasks of their own, so a common passage makes no rows of pairs. A pair is compared in the
-    bucket of its least common key only, and not if links found before in the task join its classes."""
-    words = _words_of(docs, own, members.select("id").distinct())
+    least large bucket that holds both, and not if links found before in the task join its classes."""
+    keys = members.groupBy("id").agg(F.collect_set("key").alias("keys"))  # a key for each sketch and exact run at most
     blocks = F.ceil(F.col("size") / BLOCK).cast("int")
-    own = members.withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).join(words, "id").join(rows.select("id", "keys"), "id")
-    dealt = own.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1))).select("key", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "id", "n", "label", "words", "keys")
+    own = members.withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).join(words, "id").join(keys, "id")
+    dealt = own.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1))).select("key", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "id", "n", "label", "words", F.filter("keys", lambda k: k < F.col("key")).alias("lower"))
 
     def compare(key, table):
         table = table.combine_chunks().sort_by("id")
-        bucket, lo, hi = (k.as_py() for k in key)
+        _, lo, hi = (k.as_py() for k in key)
         block, n = table["block"].to_numpy(), table["n"].to_numpy()
         ids, named = table["id"].to_pylist(), {x: i for i, x in enumerate(sorted(set(table["label"].to_pylist())))}
         label = np.array([named[x] for x in table["label"].to_pylist()], np.int64)
         body = [np.frombuffer(w, np.uint32) for w in table["words"].to_pylist()]
-        keys = [np.unique(k.values.to_numpy()) for k in table["keys"]]
         counts = pair_counts(np.concatenate(body).astype(np.uint64), np.repeat(np.arange(len(body)), [len(w) for w in body]), len(body))
+        lower = lower_keys(table["lower"].to_pylist())
         x, y = np.flatnonzero(block == lo), np.flatnonzero(block == hi)
         up: dict[int, int] = {}
 
@@ -313,11 +311,13 @@ def _blocks(members: DataFrame, rows: DataFrame, docs: DataFrame, own: DataFrame
 
         out_a, out_b = [], []
         for i in x.tolist():
-            at = y[possible(n[i : i + 1], label[i : i + 1], counts[i : i + 1], n[y], label[y], counts[y], similarity)[0]]
-            at = at[at > i] if lo == hi else at
+            at = y[y > i] if lo == hi else y
+            at = at[~(lower[at] & lower[i]).any(1)]
+            if len(at):
+                at = at[possible(n[i : i + 1], label[i : i + 1], counts[i : i + 1], n[at], label[at], counts[at], similarity)[0]]
             for j in at.tolist():
                 p, q = top(int(label[i])), top(int(label[j]))
-                if p != q and np.intersect1d(keys[i], keys[j], assume_unique=True)[0] == bucket and similar(body[i], body[j], similarity):
+                if p != q and similar(body[i], body[j], similarity):
                     up[max(p, q)] = min(p, q)
                     out_a.append(min(ids[i], ids[j]))
                     out_b.append(max(ids[i], ids[j]))
@@ -326,45 +326,44 @@ def _blocks(members: DataFrame, rows: DataFrame, docs: DataFrame, own: DataFrame
     return dealt.groupBy("key", "lo", "hi").applyInArrow(compare, "a binary, b binary")
 
 
+def lower_keys(lists: list[list[int]]) -> np.ndarray:
+    """Bit sets (rows of 64-bit numbers) of the keys that each of these holds."""
+    place = {k: i for i, k in enumerate(sorted({k for own in lists for k in own}))}
+    bits = np.zeros((len(lists), max(1, -(-len(place) // 64)) * 64), bool)
+    for i, own in enumerate(lists):
+        bits[i, [place[k] for k in own]] = True
+    return np.packbits(bits, axis=1).view(np.uint64)
+
+
 def classes(reps: DataFrame, docs: DataFrame, similarity: float = 0.8) -> tuple[DataFrame, DataFrame]:
     """label (id, label) of the representatives (id, r1, r2, n, keys) that aren't alone, and the verified links (a, b)."""
-    rows = reps.where(F.col("keys").isNotNull())
-    own = reps.select("id", "r1", "r2")
-    buckets = _buckets(rows.select(F.explode("keys").alias("key"), "id", "n"))
-    least = buckets.groupBy("id").agg(F.min("first").alias("a")).where("a <> id").select("a", F.col("id").alias("b"))
-    tested = cut(verify(cut(least), docs, own, similarity))
+    buckets = _buckets(reps.where(F.col("keys").isNotNull()).select(F.explode("keys").alias("key"), "id", "n"))
+    own = buckets.groupBy("id").agg(F.expr("mode(first, true) FILTER (WHERE first <> id)").alias("a"))
+    words = cut(_words_of(docs, reps.select("id", "r1", "r2"), own.select("id")))
+    tested = cut(verify(own.where("a is not null").select("a", F.col("id").alias("b")), words, similarity))
     found = tested.where("ok").select("a", "b")
     label = components(found)
     mixed = _mixed(buckets, label)
-    star = mixed.select(F.col("first").alias("a"), "label", F.col("id").alias("b")).where("a <> b").join(label.select(F.col("id").alias("a"), F.col("label").alias("other")), "a", "left").where(F.col("label") != F.coalesce("other", "a"))
-    for pairs in (lambda: star.select("a", "b"), lambda: _across(mixed.where(F.col("size") <= SMALL), similarity)):
-        new = cut(pairs().distinct().join(tested, ["a", "b"], "left_anti"))
-        if not new.isEmpty():
-            got = cut(verify(new, docs, own, similarity))
-            tested = tested.unionByName(got)
-            label, mixed, found = _joined(label, mixed, got.where("ok").select("a", "b"), found)
+    pairs = _across(mixed.where(F.col("size") <= SMALL), similarity).distinct().join(tested, ["a", "b"], "left_anti")
+    new = verify(pairs, words, similarity).where("ok").select("a", "b")
     large = mixed.where(F.col("size") > SMALL)
-    if not large.isEmpty():
-        label, mixed, found = _joined(label, mixed, cut(_blocks(large, rows, docs, own, similarity)).distinct(), found)
-    return label, found.distinct()
+    new = cut(new if large.isEmpty() else new.unionByName(_blocks(large, words, similarity)).distinct())
+    return (label, found) if new.isEmpty() else (_joined(label, new), found.unionByName(new).distinct())
 
 
-def _joined(label: DataFrame, mixed: DataFrame, new: DataFrame, found: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Labels, buckets that are still mixed, and links, with new links between classes."""
-    if new.isEmpty():
-        return label, mixed, found
+def _joined(label: DataFrame, new: DataFrame) -> DataFrame:
+    """Labels after new links (a written table) between classes."""
     of = lambda c: label.select(F.col("id").alias(c), F.col("label").alias(f"l{c}"))
     roots = new.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b")).where("a <> b").distinct()
-    up = components(roots)
+    up = components(cut(roots))
     old = label.join(up.select(F.col("id").alias("label"), F.col("label").alias("top")), "label", "left").select("id", F.coalesce("top", "label").alias("label"))
-    label = cut(old.unionByName(up.join(label, "id", "left_anti")))
-    return label, _mixed(mixed, label), found.unionByName(new)
+    return cut(old.unionByName(up.join(label, "id", "left_anti")))
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """id, label: smallest id of the connected component. Labels spread along links and through labels (pointer
+    """id, label: smallest id of the connected component; edges are a written table. Labels spread along links and through labels (pointer
     jumping), each round checkpointed; only the number of changes comes to the driver."""
-    both = cut(edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(edges.select(F.col("b").alias("u"), F.col("a").alias("v"))))
+    both = edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(edges.select(F.col("b").alias("u"), F.col("a").alias("v")))
     label = both.groupBy(F.col("u").alias("id")).agg(F.least(F.min("v"), F.first("u")).alias("label"))
     label = cut(label)
     while True:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import common as C
-from .chunks import MESSAGE, Plan, Reader, Writer, doc_order, merge, merged_hot, messages, ordered, parts, received
+from .chunks import MESSAGE, Plan, Reader, Writer, doc_order, merge, merged_hot, messages, ordered, parts, received, released
 from .suffix_array import induce
 
 #: Bytes of an anchor.
@@ -225,9 +225,9 @@ def without_repeats(docs: DataFrame, size: int = 50, plan: Plan | None = None) -
         cover -= np.bincount(at + size, minlength=len(snippets.data) + 1).astype(np.int32)
         return _result(table, snippets.data, np.cumsum(cover[:-1]) > 0)
 
-    hot = merge(dealt.groupBy("chunk").applyInArrow(report, MESSAGE), merged_hot)
-    sent = dealt.groupBy("chunk").cogroup(hot.groupBy("chunk")).applyInArrow(send, MESSAGE)
-    return dealt.groupBy("chunk").cogroup(merge(sent, lambda readers: shard_answers(readers, size)).groupBy("chunk")).applyInArrow(remove, SCHEMA)
+    hot = merge(dealt.groupBy("chunk").applyInArrow(released(report), MESSAGE), merged_hot)
+    sent = dealt.groupBy("chunk").cogroup(hot.groupBy("chunk")).applyInArrow(released(send), MESSAGE)
+    return dealt.groupBy("chunk").cogroup(merge(sent, lambda readers: shard_answers(readers, size)).groupBy("chunk")).applyInArrow(released(remove), SCHEMA)
 
 
 def _result(table: pa.Table, data: np.ndarray, gone: np.ndarray) -> pa.Table:
