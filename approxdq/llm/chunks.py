@@ -38,6 +38,7 @@ class Plan:
         size = min(size, 1 << 60)
         partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         chunk_bytes = max(chunk_bytes, math.isqrt(KEYS * bytes_per_key * size // 2)) if chunk_bytes >= CHUNK_BYTES else chunk_bytes
+        self.chunk_bytes = chunk_bytes
         self.chunks = max(1, min(1 << 30, -(-size // chunk_bytes)))
         self.buckets = max(1, min(1 << 30, max(partitions if size > 1 << 20 else 1, self.chunks // 2)))
         self.bits = min(60, max(40, math.ceil(math.log2(size / bytes_per_key + 2)) + 14))

@@ -5,7 +5,8 @@ of equals), whatever document it stands in. So equal strings share the anchor, a
 
 1. each chunk of documents sends its distinct anchors, and learns which stand in two documents at least;
 2. around those, each run of strings with one anchor is one snippet; a chunk sends its distinct snippets with
-   their first document to the shard of the anchor;
+   their first document to the shard of the anchor. An anchor with many different snippets (a common line among ever
+   other texts) is split: each of its strings goes alone, once a chunk, to the shard of its own hash;
 3. a shard sorts all suffixes of its snippets by external induced sorting (``suffix_array``); suffixes whose
    common prefix is ``size`` or more are one string; each chunk gets a bit for each string of its snippets:
    a document before its own first one has it;
@@ -13,7 +14,8 @@ of equals), whatever document it stands in. So equal strings share the anchor, a
 
 Order is that of doc_id (nulls last); rows that share a doc_id are one document: none is before the other.
 Null and empty texts have no bytes; texts of any length are whole; matches don't cross documents.
-Shards hold snippets that are distinct in their chunk, so no passage, host or group of copies is a hot group.
+Shards hold snippets that are distinct in their chunk, so a group of copies is one entry of each chunk; an anchor that
+stands in ``crowd`` chunks with ``DIVERSE`` different snippets in one of them is split, so common lines don't fill a shard.
 """
 
 from __future__ import annotations
@@ -26,11 +28,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from . import common as C
-from .chunks import MESSAGE, Plan, Reader, Writer, doc_order, merge, merged_hot, messages, ordered, parts, received, released
+from .chunks import MESSAGE, Plan, Reader, Writer, doc_order, merge, messages, ordered, parts, received, released
 from .suffix_array import induce
 
 #: Bytes of an anchor.
 GRAM = 16
+#: When an anchor is split: different snippets in a chunk, and chunks that hold it (so many bytes of text in all).
+DIVERSE, CROWD_BYTES = 8, 384 << 20
 _OUT = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string()), ("spans", pa.list_(pa.int64()))])
 SCHEMA = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<long>"
 #: UTF-8 has no byte above 0xF7, so all bytes can go up by one and 0 is free to end a snippet.
@@ -98,26 +102,63 @@ class Snippets:
         self.first, self.count, self.row, self.gram = join(first, np.int64), join(count, np.int64), join(row, np.int64), join(gram, np.uint64)
         self.data = join(body, np.uint8) if hold else None
 
-    def sorted_hashes(self, docs: np.ndarray, bits: int):
-        """Distinct anchors, and whether each stands in two documents of the chunk."""
+    def sorted_hashes(self, docs: np.ndarray, bits: int, size: int = 0):
+        """Distinct anchors, whether each stands in two documents of the chunk, and (given ``size``) whether it has DIVERSE snippets."""
         key = self.gram >> np.uint64(64 - bits)
         order = np.argsort(key, kind="stable")  # rows, and so documents, rise within an anchor
         key, doc = key[order], docs[self.row[order]]
         starts = np.flatnonzero(np.append(True, key[1:] != key[:-1])) if len(key) else np.zeros(0, np.int64)
         ends = np.append(starts[1:], len(key)) - 1
-        return key[starts], doc[starts] != doc[ends] if len(key) else np.zeros(0, bool)
-
-
-def _distinct(snippets: Snippets, chosen: np.ndarray, docs: np.ndarray, size: int):
-    """Distinct snippets among the chosen: which each is, the first that has it, the distinct ones by anchor."""
-    start, end = snippets.first[chosen], snippets.first[chosen] + snippets.count[chosen] + size - 1
+        diverse = np.zeros(len(starts), bool)
+        for i in np.flatnonzero(ends - starts + 1 >= DIVERSE) if size else ():
+            own = order[starts[i] : ends[i] + 1]
+            diverse[i] = len(np.unique(C.span_hashes(self.data, self.first[own], self.first[own] + self.count[own] + size - 1))) >= DIVERSE
+        return key[starts], doc[starts] != doc[ends] if len(key) else np.zeros(0, bool), diverse
+
+    def pick(self, mask: np.ndarray, crowded: np.ndarray, size: int) -> Snippets:
+        """The snippets of the mask; crowded ones as a snippet for each string, by the string's own hash."""
+        at = np.flatnonzero(mask)
+        alone = crowded[at]
+        n = np.where(alone, self.count[at], 1)
+        of, alone = np.repeat(at, n), np.repeat(alone, n)
+        out = copy(self)
+        out.first = self.first[of] + np.where(alone, np.arange(len(of)) - np.repeat(np.cumsum(n) - n, n), 0)
+        out.count, out.row, out.gram = np.where(alone, 1, self.count[of]), self.row[of], self.gram[of].copy()
+        out.gram[alone] = C.mix(C.span_hashes(self.data, out.first[alone], out.first[alone] + size) + np.uint64(1))
+        return out
+
+
+def _distinct(snippets: Snippets, docs: np.ndarray, size: int):
+    """Distinct snippets: which each is, the first that has it, the distinct ones by anchor."""
+    start, end = snippets.first, snippets.first + snippets.count + size - 1
     a, b = (C.span_hashes(snippets.data, start, end, s) for s in (1, 2))
-    order = np.lexsort((np.arange(len(a)), b, a, snippets.gram[chosen]))
+    order = np.lexsort((np.arange(len(a)), b, a, snippets.gram))
     new = np.ones(len(order), bool)
     new[1:] = (a[order][1:] != a[order][:-1]) | (b[order][1:] != b[order][:-1])
     which = np.empty(len(order), np.int64)
     which[order] = np.cumsum(new) - 1
-    return which, chosen[order][new], docs[snippets.row[chosen[order][new]]]
+    return which, order[new], docs[snippets.row[order[new]]]
+
+
+def merged_crowds(readers: list[Reader], crowd: int) -> list[bytes]:
+    """Each body: sorted anchors, flags ``many`` (in two documents there) and ``diverse``. The answer has two bits for each:
+    whether the anchor stands in two documents, and whether it is to be split."""
+    own = [(r.numbers(True), r.bits(), r.bits()) for r in readers]
+    keys, many, diverse = (np.concatenate([o[k] for o in own]) for k in range(3))
+    order = np.argsort(keys, kind="stable")
+    starts = np.flatnonzero(np.append(True, np.diff(keys[order]) > 0)) if len(keys) else np.zeros(0, np.int64)
+    sizes = np.diff(np.append(starts, len(keys)))
+    hot, split = np.zeros(len(keys), bool), np.zeros(len(keys), bool)
+    if len(keys):
+        hot[order] = np.repeat(np.logical_or.reduceat(many[order], starts) | (sizes > 1), sizes)
+        split[order] = np.repeat(np.logical_or.reduceat(diverse[order], starts) & (sizes >= crowd), sizes)
+    cuts = np.cumsum([0] + [len(o[0]) for o in own])
+    return [Writer().bits(hot[x:y]).bits(split[x:y]).done() for x, y in zip(cuts, cuts[1:], strict=False)]
+
+
+def _holds(found: np.ndarray, own: np.ndarray) -> np.ndarray:
+    """Which of ``own`` are in the sorted ``found``."""
+    return found[np.minimum(np.searchsorted(found, own), len(found) - 1)] == own if len(found) else np.zeros(len(own), bool)
 
 
 def _spread(data: np.ndarray, start: np.ndarray, length: np.ndarray) -> np.ndarray:
@@ -183,49 +224,53 @@ def shard_answers(readers: list[Reader], size: int) -> list[bytes]:
     return out
 
 
-def without_repeats(docs: DataFrame, size: int = 50, plan: Plan | None = None) -> DataFrame:
-    """One row per document: bytes, removed bytes, maximal removed runs, digest of what is left, and the runs [start, end, ...)."""
+def without_repeats(docs: DataFrame, size: int = 50, plan: Plan | None = None, crowd: int | None = None) -> DataFrame:
+    """One row per document: bytes, removed bytes, maximal removed runs, digest of what is left, and the runs [start, end, ...).
+    crowd: chunks that hold an anchor that is split."""
     plan = plan or Plan(docs, bytes_per_key=9)
     dealt, bits = plan.deal(docs), plan.bits
+    crowd = crowd or max(4, CROWD_BYTES // plan.chunk_bytes)
     shards = copy(plan)
     shards.buckets = max(plan.buckets, 2 * plan.chunks)  # so that a shard has some MB
 
     def report(key, table):
         table = ordered(table)
-        keys, many = Snippets(table, size, hold=False).sorted_hashes(doc_order(table), bits)
-        return messages([(k, key[0].as_py(), Writer().numbers(keys[x:y], True).bits(many[x:y]).bits(np.ones(y - x, bool)).done()) for k, x, y in plan.by_bucket(keys, bits)])
+        keys, many, diverse = Snippets(table, size).sorted_hashes(doc_order(table), bits, size)
+        return messages([(k, key[0].as_py(), Writer().numbers(keys[x:y], True).bits(many[x:y]).bits(diverse[x:y]).done()) for k, x, y in plan.by_bucket(keys, bits)])
 
     def send(key, left, right):
         chunk, table = key[0].as_py(), ordered(left)
         snippets, order = Snippets(table, size), doc_order(table)
-        keys, _ = snippets.sorted_hashes(order, bits)
-        hot = keys[np.concatenate([*(Reader(b).bits() for _, _, b in received(right)), np.zeros(0, bool)])]
+        keys, _, _ = snippets.sorted_hashes(order, bits)
+        answers = [(r.bits(), r.bits()) for r in (Reader(b) for _, _, b in received(right))]
         own = snippets.gram >> np.uint64(64 - bits)
-        mask = hot[np.minimum(np.searchsorted(hot, own), len(hot) - 1)] == own if len(hot) else np.zeros(len(own), bool)
-        _, first, doc = _distinct(snippets, np.flatnonzero(mask), order, size)
-        sent = [(-1, chunk, Writer().bits(mask).done())]
-        for k, x, y in shards.by_bucket(snippets.gram[first], 64):
+        mask, crowded = (_holds(keys[np.concatenate([*(a[k] for a in answers), np.zeros(0, bool)])], own) for k in (0, 1))
+        sent = [(-1, chunk, Writer().bits(mask).bits(crowded).done())]
+        picked = snippets.pick(mask, crowded, size)
+        _, first, doc = _distinct(picked, order, size)
+        for k, x, y in shards.by_bucket(picked.gram[first], 64):
             mine = first[x:y]
-            sent.append((k, chunk, Writer().numbers(snippets.count[mine]).numbers(doc[x:y]).raw(_spread(snippets.data, snippets.first[mine], snippets.count[mine] + size - 1)).done()))
+            sent.append((k, chunk, Writer().numbers(picked.count[mine]).numbers(doc[x:y]).raw(_spread(picked.data, picked.first[mine], picked.count[mine] + size - 1)).done()))
         return messages(sent)
 
     def remove(key, left, right):
         table, rows = ordered(left), received(right)
         snippets, order = Snippets(table, size), doc_order(table)
-        mask = next((Reader(b).bits() for k, _, b in rows if k < 0), np.zeros(len(snippets.row), bool))
-        chosen = np.flatnonzero(mask)
-        which, first, doc = _distinct(snippets, chosen, order, size)
+        none = np.zeros(len(snippets.row), bool)
+        mask, crowded = next(((r.bits(), r.bits()) for r in (Reader(b) for k, _, b in rows if k < 0)), (none, none))
+        picked = snippets.pick(mask, crowded, size)
+        which, first, doc = _distinct(picked, order, size)
         bit = np.concatenate([*(Reader(b).bits() for k, _, b in rows if k >= 0), np.zeros(0, bool)])
-        count = snippets.count[first]
-        own = np.repeat(order[snippets.row[chosen]] > doc[which], snippets.count[chosen]) if len(chosen) else np.zeros(0, bool)
-        repeated = own | _spread(bit, (np.cumsum(count) - count)[which], snippets.count[chosen])
-        at = _spread(np.arange(len(snippets.data)), snippets.first[chosen], snippets.count[chosen])[repeated]
+        count = picked.count[first]
+        own = np.repeat(order[picked.row] > doc[which], picked.count) if len(which) else np.zeros(0, bool)
+        repeated = own | _spread(bit, (np.cumsum(count) - count)[which], picked.count)
+        at = _spread(np.arange(len(picked.data)), picked.first, picked.count)[repeated]
         cover = np.zeros(len(snippets.data) + 1, np.int32)
         cover[:-1] += np.bincount(at, minlength=len(snippets.data)).astype(np.int32)
         cover -= np.bincount(at + size, minlength=len(snippets.data) + 1).astype(np.int32)
         return _result(table, snippets.data, np.cumsum(cover[:-1]) > 0)
 
-    hot = merge(dealt.groupBy("chunk").applyInArrow(released(report), MESSAGE), merged_hot)
+    hot = merge(dealt.groupBy("chunk").applyInArrow(released(report), MESSAGE), lambda readers: merged_crowds(readers, crowd))
     sent = dealt.groupBy("chunk").cogroup(hot.groupBy("chunk")).applyInArrow(released(send), MESSAGE)
     return dealt.groupBy("chunk").cogroup(merge(sent, lambda readers: shard_answers(readers, size)).groupBy("chunk")).applyInArrow(released(remove), SCHEMA)
 

@@ -97,3 +97,18 @@ def test_empty_and_null_tables(spark):
     assert suffix_dedup.without_repeats(docs).count() == 0 and block_dedup.without_repeats(docs).count() == 0
     docs = spark.createDataFrame([(None, "a b " * 30), (None, "a b " * 30), (1, None)], "doc_id long, text string")
     assert suffix_dedup.without_repeats(docs).count() == 3 and sorted(r.n_removed for r in block_dedup.without_repeats(docs).collect()) == [0, 58, 60]
+
+
+@pytest.mark.parametrize("crowd", [1, 2, 1000])
+def test_common_line_among_other_texts(spark, crowd):
+    """One line in many documents gives its anchor ever other snippets; split or not, the answer is that of brute force."""
+    r = random.Random(crowd)
+    line = "this line of fifty and some more bytes stands in all texts"
+    words = lambda: " ".join(str(r.randint(0, 10**6)) for _ in range(12))
+    rows = [(i, f"{words()} {line} {words()}") for i in range(60)] + [(60, line), (61, line[:50]), (62, "x" + line[3:] + "y")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    plan = Plan(docs, chunk_bytes=1200, bytes_per_key=9)
+    assert plan.chunks > 2
+    want = brute_bytes(rows, 50)
+    got = {x.doc_id: (x.n_bytes, x.n_removed, x.n_spans, x.kept_sha256) for x in suffix_dedup.without_repeats(docs, 50, plan, crowd).collect()}
+    assert got == want
