@@ -33,6 +33,25 @@ NOTICES = (
     ("permission to use copy modify and or distribute this software", "isc"),
     ("creative commons attribution", "cc-by"),
     ("eclipse public license", "epl"),
+    ("the above copyright notice and this permission notice shall be included in all copies", "mit"),
+    ("licensed under the apache license", "apache-2"),
+    ("apache software foundation license", "apache"),
+    ("redistributions of source code must retain the above copyright notice", "bsd"),
+    ("redistributions in binary form must reproduce the above copyright notice", "bsd"),
+    ("gnu affero general public license", "agpl"),
+    ("gnu free documentation license", "gfdl"),
+    ("boost software license", "bsl"),
+    ("artistic license", "artistic"),
+    ("academic free license", "afl"),
+    ("open software license", "osl"),
+    ("common development and distribution license", "cddl"),
+    ("european union public licence", "eupl"),
+    ("microsoft public license", "ms-pl"),
+    ("sil open font license", "ofl"),
+    ("python software foundation license", "psf"),
+    ("creative commons zero", "cc0"),
+    ("cc0 1 0 universal", "cc0"),
+    ("this software is provided as is without any express or implied warranty in no event will the authors be held liable", "zlib"),
     ("this is free and unencumbered software released into the public domain", "unlicense"),
 )
 _WORDS = bytes(C.LOWER[b] if C.IS_WORD[C.LOWER[b]] else 32 for b in range(256))
@@ -87,10 +106,11 @@ class NoticeSearch:
         norm = b" ".join(words)
         padded, places = b" " + norm + b" ", []
         for phrase, label in self.phrases:
-            at = padded.find(phrase)
+            at, last, word = padded.find(phrase), 0, 0
             while at >= 0:
-                places.append((padded.count(b" ", 0, at), label))
-                at = padded.find(phrase, at + 1)
+                word += padded.count(b" ", last, at)
+                places.append((word, label))
+                at, last = padded.find(phrase, at + 1), at
         return len(words), places, self.spans(norm.decode("latin-1"))
 
 

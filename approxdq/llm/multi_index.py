@@ -17,6 +17,7 @@ to the units of their cells. Fewer candidates than k: all that were found.
 from __future__ import annotations
 
 import heapq
+import math
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +27,7 @@ from pyspark.sql.window import Window
 
 from ..deploy import ship
 
-UNIT, QUERY_BLOCK, QUERY_SPLIT = 4096, 256, 1 << 16
+UNIT, QUERY_BLOCK, QUERY_SPLIT, MOST_CENTROIDS = 4096, 256, 1 << 16, 512
 
 
 def k_means(x: np.ndarray, k: int, rounds: int = 12, seed: int = 0) -> np.ndarray:
@@ -116,8 +117,11 @@ def fit(vectors: DataFrame, centroids: int, sample_rows: int, seed: int = 0) ->
 
 
 def search(table: DataFrame, queries: F.Column, k: int = 20, id_col: str = "vec_id", vec_col: str = "embedding", centroids: int = 32, sample_rows: int = 8192, recall: float = 0.95) -> DataFrame:
-    """query_id, rank, vec_id, score of the k nearest found for each row that ``queries`` (of column id) selects."""
+    """query_id, rank, vec_id, score of the k nearest found for each row that ``queries`` (of column id) selects. Beyond a
+    million rows the centroids of a half grow with the fourth root of the table (to ``MOST_CENTROIDS``), and the sample with them."""
     spark, vectors = table.sparkSession, valid_vectors(table, id_col, vec_col)
+    grown = min(MOST_CENTROIDS, max(centroids, math.isqrt(math.isqrt(vectors.count()))))
+    centroids, sample_rows = grown, sample_rows * grown // centroids
     fitted = fit(vectors, centroids, sample_rows)
     if fitted is None:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
