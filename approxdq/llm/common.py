@@ -14,9 +14,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..deploy import ship
+from .. import deploy
 
 PIECE = 1 << 20
+#: Rows of an Arrow batch, where the session has Spark's default: a batch of 10,000 whole texts costs an executor hundreds of MB.
+BATCH_KEY, BATCH_DEFAULT, BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch", "10000", "1000"
 
 #: Bytes of words: 0-9, a-z (after lower-casing) and every byte of a non-ASCII character.
 LOWER = np.arange(256, dtype=np.uint8)
@@ -28,6 +30,13 @@ IS_DARK = np.ones(256, dtype=bool)
 IS_DARK[[32, 9, 10, 11, 12, 13]] = False
 
 
+def ship(spark: SparkSession) -> SparkSession:
+    """The session with this package on its executors and batches of whole texts that fit them."""
+    if spark.conf.get(BATCH_KEY, BATCH_DEFAULT) == BATCH_DEFAULT:
+        spark.conf.set(BATCH_KEY, BATCH_ROWS)
+    return deploy.ship(spark)
+
+
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return ship(spark).read.parquet(f"{sf_dir}/{table}.parquet")
 

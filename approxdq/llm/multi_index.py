@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ..deploy import ship
+from . import common as C
 
 UNIT, QUERY_BLOCK, QUERY_SPLIT, MOST_CENTROIDS = 4096, 256, 1 << 16, 512
 
@@ -100,7 +100,7 @@ def _vectors(column, width: int) -> np.ndarray:
 
 
 def valid_vectors(table: DataFrame, id_col: str, vec_col: str) -> DataFrame:
-    ship(table.sparkSession)
+    C.ship(table.sparkSession)
     v = F.col("v")
     fine = F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < F.lit(float("inf")))) & F.exists(v, lambda x: x != 0)
     return table.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v")).where(v.isNotNull() & F.col("id").isNotNull()).where(F.coalesce(fine, F.lit(False)))
