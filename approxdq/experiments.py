@@ -11,6 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .checkpoints import cut
 from .operators import bloom, clustering, conciseness, dereference, framework, links
 from .plans import graphs, mappings
 from .queries import SETS, SETTINGS, instance_set
@@ -68,14 +69,22 @@ def clustering_coefficient(spark: SparkSession, sf_dir: str, factors=FACTORS, sh
     return _observe(spark, runs)
 
 
-def ladder(spark: SparkSession, sf_dirs: list[str]) -> DataFrame:
-    """Run time of exact and estimate against size: conciseness of the largest set, links, and degrees."""
+def ladder(spark: SparkSession, *sf_dirs: str) -> DataFrame:
+    """Run time of exact and estimate against size, all four metrics: views of rising size, in each folder."""
     runs = []
     for d in sf_dirs:
-        name = d.rstrip("/").rsplit("/", 1)[-1]
-        i, t = instance_set(spark, d, "lineitem"), mappings.triples(spark, d, "lineitem")
-        runs += [(name, "conciseness", "exact", {}, True, lambda i=i: conciseness.exact(i)), (name, "conciseness", "sketch", {}, False, lambda i=i: conciseness.sketch(i)), (name, "conciseness", "P3", {}, False, lambda i=i: conciseness.estimate(i, 10, 100_000))]
-        runs += [(name, "external_links", "exact", {}, True, lambda t=t: links.exact(t)), (name, "external_links", "P4", {}, False, lambda t=t: links.estimate(t, 50_000))]
+        at = d.rstrip("/").rsplit("/", 1)[-1]
+        t = mappings.triples(spark, d, "pages")
+        runs += [(f"{at} pages", "dereferenceability", "exact", {}, True, lambda t=t: dereference.exact(t)), (f"{at} pages", "dereferenceability", "P3", {}, False, lambda t=t: dereference.estimate(t, *DEREFERENCE["P3"]))]
+        for v in ("customer", "orders", "lineitem"):
+            t = mappings.triples(spark, d, v, kind="uri")
+            runs += [(f"{at} {v}", "external_links", "exact", {}, True, lambda t=t: links.exact(t, "base")), (f"{at} {v}", "external_links", "P4", {}, False, lambda t=t: links.estimate(t, LINKS["P4"]))]
+        for v in ("part", "orders", "lineitem"):
+            i = instance_set(spark, d, v)
+            runs += [(f"{at} {v}", "conciseness", "exact", {}, True, lambda i=i: conciseness.exact(i)), (f"{at} {v}", "conciseness", "sketch", {}, False, lambda i=i: conciseness.sketch(i)), (f"{at} {v}", "conciseness", "P3", {}, False, lambda i=i: conciseness.estimate(i, *SETTINGS[2]))]
+        for v in graphs.GRAPHS:
+            e = cut(graphs.GRAPHS[v](spark, d))
+            runs += [(f"{at} {v}", "clustering", "exact", {}, True, lambda e=e: clustering.exact(e)), (f"{at} {v}", "clustering", "m=0.1", {}, False, lambda e=e: clustering.estimate(clustering.walk(e, 0.1), e))]
     return _observe(spark, runs)
 
 

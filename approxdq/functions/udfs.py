@@ -35,16 +35,25 @@ class _ParseLine:
 
 
 class _WalkSteps:
-    """Steps of a walk over a ring of n vertices with c links to each side: a stand-in graph for tests of walks."""
+    """Steps of a walk over a small graph given as a table of links (src, dst), read both ways; from its least vertex."""
 
-    def eval(self, n: int, c: int, steps: int, seed: int):
+    def __init__(self):
+        self.near: dict[str, set[str]] = {}
+        self.steps = self.seed = 0
+
+    def eval(self, row, steps: int, seed: int):
+        self.steps, self.seed = steps, seed
+        for a, b in ((row["src"], row["dst"]), (row["dst"], row["src"])):
+            self.near.setdefault(a, set()).add(b)
+
+    def terminate(self):
         import hashlib
 
-        at = 0
-        for t in range(1, steps + 1):
+        lists = {v: sorted(own) for v, own in self.near.items()}
+        at = min(lists) if lists else None
+        for t in range(1, self.steps + 1 if lists else 1):
             yield t, at
-            d = int(hashlib.md5(f"{seed}|{t}".encode()).hexdigest()[:8], 16) % (2 * c)
-            at = (at + (d - c if d < c else d - c + 1)) % n
+            at = lists[at][int(hashlib.md5(f"{self.seed}|0|{t}".encode()).hexdigest()[:8], 16) % len(lists[at])]
 
 
 def register(spark: SparkSession) -> None:
@@ -53,4 +62,4 @@ def register(spark: SparkSession) -> None:
     spark.udf.register("murmur3_128", murmur3)
     spark.udf.register("reservoir_agg", reservoir_agg)
     spark.udtf.register("ntriples_parse", F.udtf(_ParseLine, returnType="s string, p string, o string, o_kind string"))
-    spark.udtf.register("walk_steps", F.udtf(_WalkSteps, returnType="step int, v int"))
+    spark.udtf.register("walk_steps", F.udtf(_WalkSteps, returnType="step int, v string"))

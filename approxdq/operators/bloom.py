@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import math
+from array import array
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -111,13 +113,13 @@ class ResettingFilter:
 
 
 def draws(signatures: list[str], seqs: list[int], k: int, size: int, seed: int, form: str = "murmur128"):
-    """Positions by double hashing of a 128-bit digest, and random places and numbers that depend on seq alone."""
+    """Positions by double hashing of a 128-bit digest, and random places and numbers that depend on (seq, signature)."""
     i = np.arange(k, dtype=np.uint64)
     h = murmur3_128([s.encode() for s in signatures], seed)
     if form == "md5":
         h = np.array([[int(s[:16], 16), int(s[16:32], 16) | 1] for s in signatures], np.uint64).reshape(-1, 2)
     at = (h[:, :1] + i * (h[:, 1:] | np.uint64(1))) % np.uint64(size)
-    noise = murmur3_128([b"%d|%d" % (seed, s) for s in seqs], seed + 1)
+    noise = murmur3_128([b"%d|%d|" % (seed, s) + g.encode() for s, g in zip(seqs, signatures, strict=True)], seed + 1)
     wide = noise[:, :1] + np.arange(2 * k + 1, dtype=np.uint64) * (noise[:, 1:] | np.uint64(1))
     wide = (wide ^ (wide >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
     return at.tolist(), ((wide[:, :k] >> np.uint64(11)) % np.uint64(size)).tolist(), ((wide[:, k:] >> np.uint64(11)) / float(1 << 53)).tolist()
@@ -125,7 +127,7 @@ def draws(signatures: list[str], seqs: list[int], k: int, size: int, seed: int,
 
 def flag_balanced(instances: DataFrame, bits: int, fpr: float | None = None, k: int | None = None, seed: int = 0, shards: int = 1, policy: str = "balanced", form: str = "murmur128") -> DataFrame:
     """instances (sig, seq) with is_dup from filters that reset. Shards are dealt by signature, so all copies of an
-    instance meet; each has bits/shards of memory and reads in order of seq. shards=1 is the paper's single stream."""
+    instance meet; each has bits/shards of memory and reads in order of (seq, sig). shards=1 is the paper's single stream."""
     k = k or filters_for(fpr)
     own = bits // shards
 
@@ -142,7 +144,7 @@ def flag_balanced(instances: DataFrame, bits: int, fpr: float | None = None, k:
             yield pa.RecordBatch.from_arrays([b.column("seq"), b.column("sig"), pa.array(out, pa.bool_())], names=["seq", "sig", "is_dup"])
 
     dealt = instances.select(F.col("seq").cast("long").alias("seq"), F.col("sig").cast("string").alias("sig"), F.pmod(F.xxhash64("sig"), F.lit(shards)).cast("int").alias("shard"))
-    return dealt.repartition(shards, "shard").sortWithinPartitions("seq").mapInArrow(run, "seq long, sig string, is_dup boolean")
+    return dealt.repartition(shards, "shard").sortWithinPartitions("seq", "sig").mapInArrow(run, "seq long, sig string, is_dup boolean")
 
 
 def candidates(instances: DataFrame, k: int, bits: int, seed: int = 0) -> DataFrame:
@@ -156,40 +158,107 @@ def candidates(instances: DataFrame, k: int, bits: int, seed: int = 0) -> DataFr
 
 
 class QuotientFilter:
-    """Approximate membership by quotient and remainder of a hash; open runs kept in a dictionary of sorted remainders.
-    It can be merged and resized, unlike a bit vector: the remainder lends its top bit to the quotient."""
+    """Approximate membership in one table of slots: a hash is a quotient (its home slot) and a remainder (what the slot
+    holds). Remainders of one quotient stand sorted in a run, runs in order of their quotients in clusters; three bits a
+    slot tell whether its quotient has a run, whether the slot continues one, and whether it stands away from home.
+    It can be merged and resized, unlike a bit vector: the remainder lends its top bit to the quotient. Doubles by
+    itself when nine tenths full, while there are bits to lend."""
 
     def __init__(self, quotient_bits: int, remainder_bits: int):
-        self.q, self.r, self.runs = quotient_bits, remainder_bits, {}
+        self.q, self.r, self.count = quotient_bits, remainder_bits, 0
+        n = 1 << quotient_bits
+        self.slots, self.has_run, self.continues, self.moved = array("Q", bytes(8 * n)), bytearray(n), bytearray(n), bytearray(n)
 
     def _split(self, h: int) -> tuple[int, int]:
         h &= (1 << (self.q + self.r)) - 1
         return h >> self.r, h & ((1 << self.r) - 1)
 
+    def _free(self, at: int) -> bool:
+        return not (self.has_run[at] or self.continues[at] or self.moved[at])
+
+    def _run(self, quotient: int) -> int:
+        """Where the run of a quotient begins (or would): back to the start of the cluster, then run by run."""
+        last = len(self.slots) - 1
+        home = quotient
+        while self.moved[home]:
+            home = (home - 1) & last
+        at = home
+        while home != quotient:
+            at = (at + 1) & last
+            while self.continues[at]:
+                at = (at + 1) & last
+            home = (home + 1) & last
+            while not self.has_run[home]:
+                home = (home + 1) & last
+        return at
+
+    def _find(self, quotient: int, remainder: int) -> tuple[int, int, bool]:
+        """Start of the run, place for the remainder in it, and whether it is there."""
+        last = len(self.slots) - 1
+        start = at = self._run(quotient)
+        while True:
+            if self.slots[at] >= remainder:
+                return start, at, self.slots[at] == remainder
+            at = (at + 1) & last
+            if not self.continues[at]:
+                return start, at, False
+
     def add(self, h: int) -> bool:
         """Adds a hash; whether it was there."""
         quotient, remainder = self._split(h)
-        run = self.runs.setdefault(quotient, set())
-        if remainder in run:
-            return True
-        run.add(remainder)
+        last = len(self.slots) - 1
+        if self._free(quotient):
+            self.slots[quotient], self.has_run[quotient] = remainder, 1
+        else:
+            known, continues = self.has_run[quotient], 0
+            self.has_run[quotient] = 1
+            if known:
+                start, at, there = self._find(quotient, remainder)
+                if there:
+                    return True
+                continues = int(at != start)
+                if not continues:
+                    self.continues[start] = 1  # the old first one, which moves on
+            else:
+                at = self._run(quotient)
+            held, moved = remainder, int(at != quotient)
+            while True:  # each later one moves a slot on
+                free = self._free(at)
+                self.slots[at], held = held, self.slots[at]
+                self.continues[at], continues = continues, self.continues[at]
+                self.moved[at] = moved
+                if free:
+                    break
+                at, moved = (at + 1) & last, 1
+        self.count += 1
+        if self.count * 10 > 9 * len(self.slots) and self.r > 1:
+            self.__dict__.update(self.grow().__dict__)
         return False
 
     def __contains__(self, h: int) -> bool:
         quotient, remainder = self._split(h)
-        return remainder in self.runs.get(quotient, ())
+        return bool(self.has_run[quotient]) and self._find(quotient, remainder)[2]
+
+    def hashes(self) -> Iterator[int]:
+        """What it holds, quotient by quotient."""
+        last = len(self.slots) - 1
+        for quotient in range(len(self.slots)):
+            if self.has_run[quotient]:
+                at = self._run(quotient)
+                yield quotient << self.r | self.slots[at]
+                while self.continues[at := (at + 1) & last]:
+                    yield quotient << self.r | self.slots[at]
 
     def merge(self, other: QuotientFilter) -> QuotientFilter:
-        for quotient, run in other.runs.items():
-            self.runs.setdefault(quotient, set()).update(run)
+        for h in other.hashes():
+            self.add(h)
         return self
 
     def grow(self) -> QuotientFilter:
         """Twice the quotients, one bit less of remainder; holds the same hashes."""
         out = QuotientFilter(self.q + 1, self.r - 1)
-        for quotient, run in self.runs.items():
-            for remainder in run:
-                out.add((quotient << self.r) | remainder)
+        for h in self.hashes():
+            out.add(h)
         return out
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -38,12 +40,20 @@ def forward_links(triples: DataFrame, k: int | None = None, seed: int = 0, fetch
 
 
 def back_links(triples: DataFrame, k: int | None = None, seed: int = 0) -> DataFrame:
-    """Subjects that some document links to."""
+    """Subjects that some triple of the set has as its object: the form that needs no requests."""
     pages = _units(triples.select(F.col("s").alias("uri")).distinct(), ["uri"], k, seed)
     targets = triples.where("o_kind = 'uri'").select(F.col("o").alias("target")).distinct()
     return ratio(pages.join(targets, pages["uri"] == targets["target"], "left"), F.col("target").isNotNull())
 
 
+def back_links_of_documents(uris: DataFrame, contents: DataFrame, k: int | None = None, seed: int = 0, fetch=dereference.snapshot_fetch) -> DataFrame:
+    """URIs (column uri) whose own response document has a triple with them as object. contents: doc, o (what each document
+    says); the document is the URI without fragment, if a request gets one."""
+    got = fetch(_units(uris.select("uri").distinct(), ["uri"], k, seed)).select("uri", F.when(F.col("status").isin(200, 303), F.regexp_extract("uri", "^([^#]*)", 1)).alias("doc"))
+    back = contents.select("doc", F.col("o").alias("uri")).distinct().withColumn("back", F.lit(True))
+    return ratio(got.join(back, ["doc", "uri"], "left"), F.col("back").isNotNull())
+
+
 def syntactic_accuracy(triples: DataFrame, k: int | None = None, seed: int = 0) -> DataFrame:
     """Typed literals whose text is of their datatype (strings always are)."""
     literals = triples.where("o_kind = 'literal' and o_datatype is not null").select("s", "p", "o", "o_datatype")
@@ -77,16 +87,22 @@ def disjoint_members(types: DataFrame, disjoint: DataFrame, k: int | None = None
     return ratio(subjects.join(bad, "s", "left"), F.col("bad").isNull())
 
 
-def intensional_conciseness(triples: DataFrame) -> DataFrame:
-    """Distinct extensions of predicates over predicates. An extension's signature adds up digests, so no order is
-    needed: count and sums of two 32-bit parts over distinct (s, o)."""
-    from ..functions.keys import number
+def intensional_conciseness(triples: DataFrame, bits: int | None = None, k: int = 4, seed: int = 0) -> DataFrame:
+    """Distinct extensions of predicates over predicates. Exact: an extension's signature adds up digests, so no order is
+    needed: count and sums of two 32-bit parts over distinct (s, o). With ``bits``: each predicate has a Bloom
+    filter of that size, and filters are compared; repeats need no removal, and only filters are shuffled."""
+    from ..functions.keys import number, positions
 
     h = F.md5(F.concat_ws("|", "s", "o"))
-    rows = triples.select("p", "s", "o").distinct().select("p", number(h).alias("x"), number(F.substring(h, 9, 8)).alias("y"))
-    by = rows.groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.sum("x").alias("x"), F.sum("y").alias("y"))
-    out = by.agg(F.count_distinct("n", "x", "y").alias("numer"), F.count(F.lit(1)).alias("denom"))
-    return out.select("numer", "denom", (F.col("numer") / F.col("denom")).alias("value"))
+    if bits is None:
+        rows = triples.select("p", "s", "o").distinct().select("p", number(h).alias("x"), number(F.substring(h, 9, 8)).alias("y"))
+        by = rows.groupBy("p").agg(F.struct(F.count(F.lit(1)), F.sum("x"), F.sum("y")).alias("sig"))
+    else:
+        at = triples.select("p", F.posexplode(positions(h, k, bits // k, seed)).alias("i", "at"))
+        words = at.groupBy("p", "i", F.floor(F.col("at") / 64).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(at % 64 as int))")).alias("mask"))
+        mix = F.xxhash64("i", "word", "mask")
+        by = words.groupBy("p").agg(F.struct(F.count(F.lit(1)), F.bit_xor(mix), F.sum(F.shiftrightunsigned(mix, 24))).alias("sig"))
+    return by.agg(F.count_distinct("sig").alias("numer"), F.count(F.lit(1)).alias("denom")).select("numer", "denom", (F.col("numer") / F.col("denom")).alias("value"))
 
 
 def duplicate_instances(instances: DataFrame, flags: DataFrame | None = None) -> DataFrame:
@@ -105,24 +121,39 @@ def coverage(triples: DataFrame, predicates: list[str], k: int | None = None, se
     return cells.crossJoin(own.agg((F.count(F.lit(1)) * len(predicates)).alias("denom"))).select("numer", "denom", (F.col("numer") / F.col("denom")).alias("value"))
 
 
-def interlink_quality(edges: DataFrame, links: DataFrame) -> DataFrame:
-    """Each link (a, b) with what it adds to its ends: degree, local clustering with and without it, and vertices
-    within two steps. Only the neighbourhoods of the links are looked at."""
-    ends = links.select(F.col("a").alias("v")).unionByName(links.select(F.col("b").alias("v"))).distinct()
-
-    def around(own: DataFrame) -> DataFrame:
-        near = own.join(ends, own["src"] == ends["v"], "left_semi")
-        pairs = near.select("src", F.col("dst").alias("x")).join(own.select(F.col("src").alias("x"), F.col("dst").alias("y")), "x")
-        inner = pairs.join(near.select("src", F.col("dst").alias("y")), ["src", "y"], "left_semi").groupBy("src").agg(F.count(F.lit(1)).alias("t2"))
-        reach = pairs.select("src", "y").unionByName(near.select("src", F.col("dst").alias("y"))).where("src <> y").distinct().groupBy("src").agg(F.count(F.lit(1)).alias("reach"))
-        d = near.groupBy("src").agg(F.count(F.lit(1)).alias("d"))
-        c = F.when(F.col("d") < 2, 0.0).otherwise(F.coalesce("t2", F.lit(0)) / (F.col("d") * (F.col("d") - 1)))
-        return d.join(inner, "src", "left").join(reach, "src", "left").select(F.col("src").alias("v"), "d", c.alias("c"), "reach")
-
-    both = links.select(F.col("a").alias("src"), F.col("b").alias("dst")).unionByName(links.select(F.col("b").alias("src"), F.col("a").alias("dst")))
-    after, before = around(edges), around(edges.join(both, ["src", "dst"], "left_anti")).toDF("v", "d0", "c0", "r0")
-    gain = after.join(before, "v", "left").select("v", (F.col("d") - F.coalesce("d0", F.lit(0))).alias("d_gain"), (F.col("c") - F.coalesce("c0", F.lit(0.0))).alias("c_gain"), (F.col("reach") - F.coalesce("r0", F.lit(0))).alias("reach_gain"))
-    return links.select("a", "b").join(gain.withColumnRenamed("v", "a"), "a")
+def interlink_quality(edges: DataFrame) -> DataFrame:
+    """Each link (a < b) by what it adds to both ends, each link taken out by itself: their degrees with it, and the gain of
+    local clustering. Without the link, an end has one neighbour less and loses the triangles that hold the link, so one
+    listing of triangles tells all."""
+    tri = clustering.triangles(edges)
+    link = lambda x, y: F.struct(F.least(x, y).alias("a"), F.greatest(x, y).alias("b"))
+    on = tri.select(F.explode(F.array(link("a", "b"), link("a", "c"), link("b", "c"))).alias("e")).select("e.a", "e.b")
+    shared = on.groupBy("a", "b").agg(F.count(F.lit(1)).alias("t"))
+    local = clustering.local(edges).select("v", "d", F.col("t").alias("tv"))
+    of = lambda c: local.select(F.col("v").alias(c), F.col("d").alias(f"d_{c}"), F.col("tv").alias(f"t_{c}"))
+    rate = lambda t, d: F.when(d < 2, 0.0).otherwise(2 * t / (d * (d - 1)))
+    both = edges.where("src < dst").select(F.col("src").alias("a"), F.col("dst").alias("b")).join(shared, ["a", "b"], "left").join(of("a"), "a").join(of("b"), "b").withColumn("t", F.coalesce("t", F.lit(0)))
+    gain = lambda c: rate(F.col(f"t_{c}"), F.col(f"d_{c}")) - rate(F.col(f"t_{c}") - F.col("t"), F.col(f"d_{c}") - 1)
+    return both.select("a", "b", "d_a", "d_b", F.col("t").alias("shared"), gain("a").alias("gain_a"), gain("b").alias("gain_b"))
+
+
+def interlink_reach(edges: DataFrame, links: DataFrame, steps: int = 50, seed: int = 0) -> DataFrame:
+    """What walks from the ends of each link (a, b) reach: distinct vertices with the link and without it. edges: a written
+    graph of at most ``clustering.MOST_EDGES``, whose lists are broadcast."""
+    if edges.count() > clustering.MOST_EDGES:
+        raise ValueError("reach needs lists of a bounded size; interlink_quality takes any graph")
+    shared = edges.sparkSession.sparkContext.broadcast(clustering.Lists(edges))
+
+    def run(batches):
+        own = shared.value
+        for batch in batches:
+            pairs = list(zip(batch.column("a").to_pylist(), batch.column("b").to_pylist(), strict=True))
+            ends = [[pc.index(own.names, x).as_py() for x in p] for p in pairs]
+            reach = lambda x, y, less: len(set(own.path(x, steps, f"{x}-{y}", seed, less)))
+            columns = [[reach(x, y, less) for x, y, less in rows] for rows in ([(a, b, None) for a, b in ends], [(a, b, b) for a, b in ends], [(b, a, None) for a, b in ends], [(b, a, a) for a, b in ends])]
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), *(pa.array(c, pa.int32()) for c in columns)], names=["a", "b", "reach_a", "without_a", "reach_b", "without_b"])
+
+    return links.select("a", "b").mapInArrow(run, "a string, b string, reach_a int, without_a int, reach_b int, without_b int")
 
 
 def relevant_terms(pages: DataFrame, top: int = 50, iterations: int = 10) -> DataFrame:

@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
+import hashlib
 import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..checkpoints import cut
+from ..deploy import ship
 from ..functions.keys import number, random_key
 
 #: Largest number of directed edges whose neighbour lists are sent to the walkers; beyond it walkers move by joins.
@@ -81,40 +84,73 @@ def _start(edges: DataFrame, walkers: int, seed: int, start: str) -> DataFrame:
 
 
 def walk(edges: DataFrame, m: float = 1.0, seed: int = 0, walkers: int = 1, start: str = "uniform", steps: int | None = None, most_edges: int = MOST_EDGES) -> DataFrame:
-    """walker, step (from 1), v; edges are read several times, so give written ones. Each next vertex is the neighbour whose number is a digest of (seed, walker, step) modulo
+    """walker, step (from 1), v; over lists also d, before, after and closed. Edges are read several times, so give written
+    ones. Each next vertex is the neighbour whose number is a digest of (seed, walker, step) modulo
     the degree. Walkers share the r steps. Edges go both ways, so a dead end turns back."""
-    n = edges.select("src").distinct().count()
-    r = steps or steps_for(n, m)
-    each = max(3, -(-r // walkers))
-    first = _start(edges, walkers, seed, start)
-    if edges.count() <= most_edges:
-        return _walk_lists(edges, first, each, seed)
-    return _walk_joins(edges, first, each, seed)
+    if edges.count() > most_edges:
+        r = steps or steps_for(edges.select("src").distinct().count(), m)
+        return _walk_joins(edges, _start(edges, walkers, seed, start), max(3, -(-r // walkers)), seed)
+    lists = Lists(edges)
+    r = steps or steps_for(len(lists.names), m)
+    if start == "uniform":
+        first = sorted((hashlib.md5(f"{seed}|start|{v}".encode()).hexdigest(), v) for v in lists.names.to_pylist())[:walkers]
+        rows = [(w, v) for w, (_, v) in enumerate(first)]
+    else:
+        rows = [(x.walker, x.v) for x in _start(edges, walkers, seed, start).collect()]  # ``walkers`` rows
+    return _walk_lists(edges.sparkSession, lists, rows, max(3, -(-r // walkers)), seed)
+
+
+class Lists:
+    """Neighbour lists of a graph of checked size: vertices by name, and the numbers of each one's neighbours, rising."""
+
+    def __init__(self, edges: DataFrame):
+        rows = edges.orderBy("src", "dst").select("src", "dst").toArrow()
+        src, dst = (rows[c].combine_chunks().cast(pa.string()) for c in ("src", "dst"))
+        ends = np.append(pc.not_equal(src[1:], src[:-1]).to_numpy(zero_copy_only=False), True) if len(src) else np.zeros(0, bool)
+        self.names = src.filter(pa.array(ends))
+        self.offsets = np.append(0, np.flatnonzero(ends) + 1)
+        self.nbr = pc.index_in(dst, self.names).to_numpy().astype(np.int32)
+
+    def of(self, v: int) -> np.ndarray:
+        return self.nbr[self.offsets[v] : self.offsets[v + 1]]
+
+    def linked(self, u: int, v: int) -> bool:
+        own = self.of(u)
+        at = int(np.searchsorted(own, v))
+        return at < len(own) and int(own[at]) == v
+
+    def path(self, v: int, steps: int, walker: object, seed: int, less: int | None = None) -> list[int]:
+        """Vertices of a walk from v; ``less``: without the link between v and this one."""
+        out, first = [], v
+        for t in range(1, steps + 1):
+            out.append(v)
+            own = self.of(v)
+            if less is not None and v in (first, less):
+                own = own[own != (less if v == first else first)]
+            if not len(own):
+                break
+            v = int(own[int(hashlib.md5(f"{seed}|{walker}|{t}".encode()).hexdigest()[:8], 16) % len(own)])
+        return out
+
 
+_STEPS = "walker int, step int, v string, d long, before string, after string, closed int"
 
-def _walk_lists(edges: DataFrame, first: DataFrame, each: int, seed: int) -> DataFrame:
-    """Neighbour lists of a checked size go to the walkers."""
-    import hashlib
 
-    rows = edges.orderBy("src", "dst").toPandas()
-    src, dst = rows["src"].to_numpy(), rows["dst"].to_numpy()
-    begin = np.flatnonzero(np.append(True, src[1:] != src[:-1])) if len(src) else np.zeros(0, np.int64)
-    shared = edges.sparkSession.sparkContext.broadcast(({v: (int(a), int(b)) for v, a, b in zip(src[begin], begin, np.append(begin[1:], len(src)), strict=True)}, dst))
+def _walk_lists(spark: SparkSession, lists: Lists, first: list[tuple[int, str]], each: int, seed: int) -> DataFrame:
+    """Neighbour lists of a checked size go to the walkers, who also note degrees and whether each wedge is closed."""
+    shared = ship(spark).sparkContext.broadcast(lists)
 
     def run(batches):
-        where, nbr = shared.value
+        own = shared.value
         for b in batches:
-            walker, step, at = [], [], []
             for w, v in zip(b.column("walker").to_pylist(), b.column("v").to_pylist(), strict=True):
-                for t in range(1, each + 1):
-                    walker.append(w)
-                    step.append(t)
-                    at.append(v)
-                    lo, hi = where[v]
-                    v = nbr[lo + int(hashlib.md5(f"{seed}|{w}|{t}".encode()).hexdigest()[:8], 16) % (hi - lo)]
-            yield pa.RecordBatch.from_arrays([pa.array(walker, pa.int32()), pa.array(step, pa.int32()), pa.array(at, pa.string())], names=["walker", "step", "v"])
+                at = own.path(pc.index(own.names, v).as_py(), each, w, seed)
+                name = [own.names[i].as_py() for i in at]
+                closed = [None] + [int(own.linked(x, y)) for x, y in zip(at, at[2:], strict=False)] + [None]
+                columns = [pa.array([w] * len(at), pa.int32()), pa.array(range(1, len(at) + 1), pa.int32()), pa.array(name, pa.string()), pa.array([len(own.of(i)) for i in at], pa.int64()), pa.array([None] + name[:-1], pa.string()), pa.array(name[1:] + [None], pa.string()), pa.array(closed[: len(at)], pa.int32())]
+                yield pa.RecordBatch.from_arrays(columns, names=[f.split()[0] for f in _STEPS.split(", ")])
 
-    return first.select(F.col("walker").cast("int").alias("walker"), F.col("v").cast("string").alias("v")).mapInArrow(run, "walker int, step int, v string")
+    return spark.createDataFrame(first, "walker int, v string").mapInArrow(run, _STEPS)
 
 
 def _walk_joins(edges: DataFrame, first: DataFrame, each: int, seed: int, every: int = 10) -> DataFrame:
@@ -134,6 +170,8 @@ def _walk_joins(edges: DataFrame, first: DataFrame, each: int, seed: int, every:
 
 def wedges(steps: DataFrame, edges: DataFrame) -> DataFrame:
     """Each step with degree, and for interior ones whether the vertices before and after it are linked."""
+    if "closed" in steps.columns:
+        return steps
     w = Window.partitionBy("walker").orderBy("step")
     near = steps.withColumn("before", F.lag("v").over(w)).withColumn("after", F.lead("v").over(w))
     with_d = near.join(degrees(edges), "v")
@@ -165,9 +203,9 @@ def one_shot(edges: DataFrame, r: int, seed: int = 0) -> DataFrame:
     return w.agg((top / F.avg(1 / F.col("d"))).alias("value"), F.count(F.lit(1)).alias("steps"))
 
 
-def normalise(value: float, how: str = "clip") -> float:
+def normalise(value: Column, how: str = "clip") -> Column:
     """``clip`` to [0, 1], or its ``complement``."""
-    clipped = min(1.0, max(0.0, value))
+    clipped = F.least(F.lit(1.0), F.greatest(F.lit(0.0), value))
     return clipped if how == "clip" else 1.0 - clipped
 
 

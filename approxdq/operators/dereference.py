@@ -52,11 +52,11 @@ def exact(triples: DataFrame, fetch=snapshot_fetch) -> DataFrame:
     return score(classify(all_uris(triples), fetch))
 
 
-def domain_probe(plds: DataFrame) -> DataFrame:
-    """Owners that answer a request of their own: pld, alive."""
-    probe = plds.select("pld").distinct()
-    first = offline.outcome(F.concat(F.lit("https://"), "pld", F.lit("/")))
-    return probe.withColumn("alive", first != "503")
+def domain_probe(plds: DataFrame, fetch=snapshot_fetch) -> DataFrame:
+    """Owners that answer a request of their own (by the same ``fetch`` as all others): pld, alive. An owner is dead if that
+    request fails on the server's side or has no answer."""
+    probe = plds.select("pld", F.concat(F.lit("https://"), "pld", F.lit("/")).alias("uri")).distinct()
+    return classify(probe, fetch).select("pld", (F.col("class").isin("missing") | F.coalesce(F.col("status") == 503, F.lit(False))).alias("dead")).select("pld", (~F.col("dead")).alias("alive"))
 
 
 def sample(triples: DataFrame, domains: int, per_domain: int, seed: int = 0) -> DataFrame:
@@ -68,7 +68,7 @@ def estimate(triples: DataFrame, domains: int, per_domain: int, seed: int = 0, p
     ``pooled``: resolved over sampled; ``stratified``: each owner's share weighted by its URIs."""
     uris = cut(sample(triples, domains, per_domain, seed).select("uri", "pld"))  # domains * per_domain rows at most
     if probe:
-        alive = domain_probe(uris)
+        alive = cut(domain_probe(uris, fetch))
         dead = uris.join(alive.where("not alive"), "pld", "left_semi").withColumn("class", F.lit("server-error"))
         live = classify(uris.join(alive.where("alive"), "pld", "left_semi"), fetch)
         got = live.select("uri", "pld", "class").unionByName(dead.select("uri", "pld", "class"))

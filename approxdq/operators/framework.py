@@ -86,7 +86,7 @@ def deviation(observations: DataFrame) -> DataFrame:
     exact = observations.where("exact").select("dataset", "metric", F.col("value").alias("exact_value"), F.col("seconds").alias("exact_seconds"))
     out = observations.where("not exact").join(exact, ["dataset", "metric"])
     gap = F.abs(F.col("value") - F.col("exact_value"))
-    return out.select("dataset", "metric", "variant", "value", "exact_value", gap.alias("absolute"), F.when(F.col("exact_value") != 0, gap / F.abs("exact_value")).alias("relative"), F.when(F.col("seconds") > 0, F.col("exact_seconds") / F.col("seconds")).alias("speedup"))
+    return out.select("dataset", "metric", "variant", "value", "exact_value", gap.alias("absolute"), F.when(F.col("exact_value") != 0, gap / F.abs("exact_value")).alias("relative"), F.when(F.col("seconds") > 0, F.col("exact_seconds") / F.col("seconds")).alias("speedup"), "seconds")
 
 
 def completed(observations: DataFrame, limit_s: float) -> DataFrame:
@@ -111,8 +111,10 @@ def replicate(fn: Callable[[int], float], seeds: Iterable[int]) -> dict[str, flo
     return {"mean": statistics.fmean(values), "sd": sd, "half_width": 1.96 * sd / len(values) ** 0.5}
 
 
-def best_setting(deviations: DataFrame, seconds: DataFrame | None = None) -> DataFrame:
-    """The variant of least deviation for each data set and metric, ties to the name."""
+def best_setting(deviations: DataFrame, limit_s: float | None = None) -> DataFrame:
+    """The variant of least deviation for each data set and metric, ties to the name; with ``limit_s``, among those that
+    took so long at most."""
+    deviations = deviations if limit_s is None else deviations.where(F.col("seconds") <= limit_s)
     return deviations.groupBy("dataset", "metric").agg(F.min_by("variant", F.struct("absolute", "variant")).alias("best"), F.min("absolute").alias("absolute"))
 
 

@@ -60,7 +60,8 @@ def triples(spark: SparkSession, sf_dir: str, view: str, predicates: tuple[str,
     _, subject, columns = VIEWS[view]
     each = [F.struct(F.lit(p).alias("p"), F.expr(o).cast("string").alias("o"), F.lit(k).alias("o_kind"), F.lit(d).cast("string").alias("o_datatype")) for p, o, k, d in columns if (not predicates or p in predicates) and kind in (None, k)]
     base = source(spark, sf_dir, view)
-    out = base.select(F.expr(subject).alias("s"), F.explode(F.array(*each)).alias("t")).select("s", "t.*").where("o is not null")
+    rows = base.select(F.expr(subject).alias("s"), F.array(*each).alias("ts"))  # the subject is made once, not for each triple
+    out = rows.select("s", F.explode("ts").alias("t")).select("s", "t.*").where("o is not null")
     return out.unionByName(page_links(spark, sf_dir)) if view == "pages" and (not predicates or "link" in predicates) else out
 
 

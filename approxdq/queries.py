@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -257,13 +258,14 @@ add("flag_errors_balanced", lambda s, d: framework.flag_errors(bloom.flag_balanc
 
 
 def _membership(s, d):
-    docs = table(s, d, "documents").select(F.md5("text").alias("v"))
-    made = bloom.build(table(s, d, "documents").where("doc_id % 2 = 0").select(F.md5("text").alias("v")), "v", 4, 65_536)
+    """A filter of all labelled documents, probed by all documents."""
+    docs, labelled = (table(s, d, t).select(F.col("doc_id").cast("string").alias("v")) for t in ("documents", "labels"))
+    made = bloom.build(labelled, "v", 4, 65_536)
     return bloom.might_contain(docs, "v", made, 4, 65_536).agg(F.count_if("hit").alias("hits"), F.count(F.lit(1)).alias("n"))
 
 
 _BITS = lambda frm: f"SELECT v, i, {num_sql(key_sql(0, 'i::VARCHAR', 'v'))} % 16384 AS pos FROM ({frm}), range(4) t(i)"
-add("bloom_membership", _membership, f"SELECT sum(c) FILTER (WHERE hit)::BIGINT AS hits, sum(c)::BIGINT AS n FROM (SELECT v, bool_and(b.pos IS NOT NULL) AS hit FROM ({_BITS('SELECT DISTINCT md5(text) AS v FROM documents')}) a LEFT JOIN (SELECT DISTINCT i, pos FROM ({_BITS('SELECT md5(text) AS v FROM documents WHERE doc_id % 2 = 0')})) b USING (i, pos) GROUP BY v) JOIN (SELECT md5(text) AS v, count(*) AS c FROM documents GROUP BY 1) USING (v)")
+add("bloom_membership", _membership, f"SELECT sum(c) FILTER (WHERE hit)::BIGINT AS hits, sum(c)::BIGINT AS n FROM (SELECT v, bool_and(b.pos IS NOT NULL) AS hit FROM ({_BITS('SELECT DISTINCT doc_id::VARCHAR AS v FROM documents')}) a LEFT JOIN (SELECT DISTINCT i, pos FROM ({_BITS('SELECT doc_id::VARCHAR AS v FROM labels')})) b USING (i, pos) GROUP BY v) JOIN (SELECT doc_id::VARCHAR AS v, count(*) AS c FROM documents GROUP BY 1) USING (v)")
 
 # -- clustering ---------------------------------------------------------------------------------------------
 
@@ -292,6 +294,7 @@ for _g in ("commerce", "web", "knn"):
 add("clustering_local", lambda s, d: clustering.local(_graph(s, d, "web")).withColumn("c", F.round("c", 9)), _local_sql(_G["web"]) + "SELECT v, d, t::BIGINT AS t, round(c, 9) AS c FROM loc")
 add("triangles", lambda s, d: clustering.triangles(_graph(s, d, "commerce")).agg(F.count(F.lit(1)).alias("n")), _local_sql(_G["commerce"]) + "SELECT count(*) AS n FROM tri")
 add("clustering_global", lambda s, d: _VAL(clustering.exact_global(_graph(s, d, "commerce"))), _local_sql(_G["commerce"]) + "SELECT sum(t)::BIGINT AS closed, sum(d * (d - 1) // 2)::BIGINT AS wedges, round(sum(t) / sum(d * (d - 1) // 2), 9) AS value FROM loc")
+add("clustering_normalised", lambda s, d: clustering.exact(_graph(s, d, "web")).select(F.round(clustering.normalise(F.col("value")), 9).alias("clipped"), F.round(clustering.normalise(F.col("value"), "complement"), 9).alias("complement")), _local_sql(_G["web"]) + "SELECT round(least(1, greatest(0, avg(c))), 9) AS clipped, round(1 - least(1, greatest(0, avg(c))), 9) AS complement FROM loc")
 add("clustering_pairs", lambda s, d: _VAL(clustering.exact_pairs(_graph(s, d, "web"))), _local_sql(_G["web"]) + "SELECT round(avg(c), 9) AS value, count(*) AS vertices FROM loc")
 
 
@@ -343,6 +346,10 @@ _FWD = lambda frm: f"SELECT uri, {outcome_sql('uri', pld_sql('uri'))} AS k FROM
 add("forward_links", lambda s, d: catalog.forward_links(_PAGES(s, d).where("p = 'link'")), _RATIO(f"{_OK} = 1", _FWD(_LINKED)))
 add("forward_links_sampled", lambda s, d: catalog.forward_links(_PAGES(s, d).where("p = 'link'"), k=300), _RATIO(f"{_OK} = 1", _FWD(_SAMPLED(_LINKED, ["uri"], 300))))
 add("back_links", lambda s, d: catalog.back_links(mappings.triples(s, d, "customer").unionByName(mappings.triples(s, d, "orders"))), _RATIO("o IS NOT NULL", f"SELECT s, o FROM (SELECT DISTINCT s FROM ({T('customer')} UNION ALL {T('orders')})) LEFT JOIN (SELECT DISTINCT o FROM ({T('customer')} UNION ALL {T('orders')}) WHERE o_kind = 'uri') ON s = o"))
+_SELF = f"SELECT u.url AS uri, l.o IS NOT NULL AND k IN ('303', '200-rdf', '200-html') AS good FROM (SELECT DISTINCT url, {outcome_sql('url', pld_sql('url'))} AS k FROM pages) u LEFT JOIN (SELECT DISTINCT s, o FROM ({mappings.LINKS_SQL})) l ON l.s = regexp_extract(u.url, '^([^#]*)', 1) AND l.o = u.url"
+_OWN = lambda s, d: (table(s, d, "pages").select(F.col("url").alias("uri")), mappings.page_links(s, d).select(F.col("s").alias("doc"), "o"))
+add("back_links_documents", lambda s, d: catalog.back_links_of_documents(*_OWN(s, d)), _RATIO("good", _SELF))
+add("back_links_documents_sampled", lambda s, d: catalog.back_links_of_documents(*_OWN(s, d), k=100), _RATIO("good", _SAMPLED(_SELF, ["uri"], 100)))
 add("slash_uris", lambda s, d: catalog.slash_uris(table(s, d, "pages").select(F.col("url").alias("uri"))), _RATIO("instr(url, '#') = 0", "SELECT url FROM pages"))
 add("slash_uris_sampled", lambda s, d: catalog.slash_uris(table(s, d, "pages").select(F.col("url").alias("uri")), k=100), _RATIO("instr(uri, '#') = 0", _SAMPLED("SELECT url AS uri FROM pages", ["uri"], 100)))
 _DAMAGED = f"SELECT s, p, CASE WHEN o_kind = 'literal' AND ('0x' || substr(md5('damage|' || s || '|' || p), 1, 8))::BIGINT % 20 = 0 THEN '?' || o ELSE o END AS o, o_datatype FROM ({T('orders')} UNION ALL {T('events')}) WHERE o_kind = 'literal' AND o_datatype IS NOT NULL"
@@ -358,6 +365,7 @@ def _vocabulary(s):
 
 
 add("property_misuse", lambda s, d: catalog.property_misuse(mappings.triples(s, d, "orders"), _vocabulary(s)), _RATIO("p <> 'status'", T("orders")))
+add("property_misuse_sampled", lambda s, d: catalog.property_misuse(mappings.triples(s, d, "orders"), _vocabulary(s), k=2000), _RATIO("p <> 'status'", _SAMPLED(T("orders"), ["s", "p", "o"], 2000)))
 _CLASH = "https://schema.example.org/"
 
 
@@ -370,6 +378,8 @@ def _types(s, d):
 _TYPES = f"SELECT s, o FROM ({T('customer', ('type',))} UNION ALL {T('supplier', ('type',))})"
 add("disjoint_members", lambda s, d: catalog.disjoint_members(_types(s, d), s.createDataFrame([(_CLASH + "Customer", _CLASH + "Supplier")], "a string, b string")), _RATIO("NOT (ends_with(o, 'Customer') AND ('0x' || substr(md5('clash|' || s), 1, 8))::BIGINT % 25 = 0)", _TYPES))
 
+add("disjoint_members_sampled", lambda s, d: catalog.disjoint_members(_types(s, d), s.createDataFrame([(_CLASH + "Customer", _CLASH + "Supplier")], "a string, b string"), k=100), _RATIO("NOT (contains(s, '/customer/') AND ('0x' || substr(md5('clash|' || s), 1, 8))::BIGINT % 25 = 0)", _SAMPLED(f"SELECT DISTINCT s FROM ({_TYPES})", ["s"], 100)))
+
 
 def _copied(s, d):
     t = mappings.triples(s, d, "orders").select("s", "p", "o")
@@ -377,13 +387,17 @@ def _copied(s, d):
 
 
 add("intensional_conciseness", lambda s, d: catalog.intensional_conciseness(_copied(s, d)), f"SELECT count(DISTINCT sig) AS numer, count(*) AS denom, count(DISTINCT sig) / count(*) AS value FROM (SELECT p, md5(string_agg(s || '|' || o, ',' ORDER BY s, o)) AS sig FROM (SELECT s, p, o FROM ({T('orders')}) UNION SELECT s, 'state', o FROM ({T('orders')}) WHERE p = 'status') GROUP BY p)")
+add("intensional_conciseness_filter", lambda s, d: catalog.intensional_conciseness(_copied(s, d), bits=1 << 16), ORACLES["intensional_conciseness"])
 add("duplicate_instances", lambda s, d: catalog.duplicate_instances(instance_set(s, d, "documents")), f"SELECT count(*) - count(DISTINCT sig) AS numer, count(*) AS denom, (count(*) - count(DISTINCT sig)) / count(*) AS value FROM ({_set_sql('documents')})")
 add("duplicate_instances_filter", lambda s, d: catalog.duplicate_instances(None, bloom.flag_classic(instance_set(s, d, "orders"), 5, 10_000)), _classic_sql(5, 10_000, "SELECT count_if(is_dup)::BIGINT AS numer, count(*) AS denom, count_if(is_dup) / count(*) AS value FROM ({flags})"))
 _COV = "SELECT (SELECT count(*) FROM (SELECT DISTINCT s, p FROM ({t}) WHERE p IN ('quality', 'toxic') AND s IN (SELECT s FROM ({u}))))::BIGINT AS numer, count(*) * 2 AS denom, (SELECT count(*) FROM (SELECT DISTINCT s, p FROM ({t}) WHERE p IN ('quality', 'toxic') AND s IN (SELECT s FROM ({u})))) / (count(*) * 2) AS value FROM ({u})"
 _DOCS = f"SELECT DISTINCT s FROM ({T('documents')})"
 add("coverage", lambda s, d: catalog.coverage(mappings.triples(s, d, "documents"), ["quality", "toxic"]), _COV.format(t=T("documents"), u=_DOCS))
 add("coverage_sampled", lambda s, d: catalog.coverage(mappings.triples(s, d, "documents"), ["quality", "toxic"], k=200), _COV.format(t=T("documents"), u=_SAMPLED(_DOCS, ["s"], 200)))
-add("interlink_quality", lambda s, d: (lambda e: catalog.interlink_quality(e, reservoir.bottom_k(e.where("src < dst"), ["src", "dst"], 20, 1).select(F.col("src").alias("a"), F.col("dst").alias("b"))))(graphs.web(s, d)))
+_GAIN = lambda c: f"round(CASE WHEN d_{c} < 2 THEN 0 ELSE 2.0::DOUBLE * t_{c} / (d_{c} * (d_{c} - 1)) END - CASE WHEN d_{c} < 3 THEN 0 ELSE 2.0::DOUBLE * (t_{c} - shared) / ((d_{c} - 1) * (d_{c} - 2)) END, 9) AS gain_{c}"
+add("interlink_quality", lambda s, d: catalog.interlink_quality(_graph(s, d, "web")).withColumn("gain_a", F.round("gain_a", 9)).withColumn("gain_b", F.round("gain_b", 9)), _local_sql(_G["web"]) + f"""SELECT a, b, d_a, d_b, shared, {_GAIN('a')}, {_GAIN('b')} FROM (SELECT e.src AS a, e.dst AS b, x.d AS d_a, y.d AS d_b, x.t::BIGINT AS t_a, y.t::BIGINT AS t_b, coalesce(n, 0)::BIGINT AS shared FROM e JOIN loc x ON e.src = x.v JOIN loc y ON e.dst = y.v
+LEFT JOIN (SELECT p.src AS a, q.src AS b, count(*) AS n FROM e p JOIN e q ON p.dst = q.dst AND p.src < q.src GROUP BY 1, 2) z ON z.a = e.src AND z.b = e.dst WHERE e.src < e.dst)""")
+add("interlink_reach", lambda s, d: (lambda e: catalog.interlink_reach(e, reservoir.bottom_k(e.where("src < dst"), ["src", "dst"], 500, 1).select(F.col("src").alias("a"), F.col("dst").alias("b"))))(_graph(s, d, "web")))
 add("relevant_terms", lambda s, d: catalog.relevant_terms(table(s, d, "pages")))
 add("pagerank_web", lambda s, d: clustering.pagerank(graphs.web(s, d), iterations=3).select("v", F.round("rank", 8).alias("rank")), f"WITH e AS MATERIALIZED ({_G['web']}), dg AS (SELECT src AS v, count(*) AS d FROM e GROUP BY src), r1 AS MATERIALIZED (SELECT dst AS v, 0.15 + 0.85 * sum(1.0::DOUBLE / d) AS r FROM e JOIN dg ON src = v GROUP BY dst), r2 AS MATERIALIZED (SELECT dst AS v, 0.15 + 0.85 * sum(r / d) AS r FROM e JOIN dg ON src = dg.v JOIN r1 ON src = r1.v GROUP BY dst), r3 AS (SELECT dst AS v, 0.15 + 0.85 * sum(r / d) AS r FROM e JOIN dg ON src = dg.v JOIN r2 ON src = r2.v GROUP BY dst) SELECT v, round(r, 8) AS rank FROM r3")
 
@@ -415,6 +429,27 @@ def _observed_sql() -> str:
 _DEV = f"SELECT a.dataset, a.metric, a.variant, a.value, b.value AS exact_value, round(abs(a.value - b.value), 9) AS absolute, round(abs(a.value - b.value) / abs(b.value), 9) AS relative FROM ({_observed_sql()}) a JOIN ({_observed_sql()}) b ON a.dataset = b.dataset AND NOT a.exact AND b.exact"
 add("deviation_table", lambda s, d: framework.deviation(_observed(s, d)).select("dataset", "metric", "variant", "value", "exact_value", F.round("absolute", 9).alias("absolute"), F.round("relative", 9).alias("relative")), _DEV)
 add("best_setting", lambda s, d: framework.best_setting(framework.deviation(_observed(s, d)).withColumn("absolute", F.round("absolute", 9))), f"SELECT dataset, metric, arg_min(variant, (absolute, variant)) AS best, min(absolute) AS absolute FROM ({_DEV}) GROUP BY ALL")
+_SECONDS = {"P1": 1.0, "P2": 2.0, "P3": 3.0, "P4": 4.0}
+add("best_setting_in_time", lambda s, d: framework.best_setting(framework.deviation(_observed(s, d)).withColumn("absolute", F.round("absolute", 9)).withColumn("seconds", F.element_at(F.create_map(*[F.lit(x) for kv in _SECONDS.items() for x in kv]), F.col("variant"))), 2.5), f"SELECT dataset, metric, arg_min(variant, (absolute, variant)) AS best, min(absolute) AS absolute FROM ({_DEV}) WHERE variant IN ('P1', 'P2') GROUP BY ALL")
+
+
+def _state(s, d):
+    """Bytes that each estimate holds: the sampled URIs, the bits of the filters."""
+    rows = [dereference.sample(_PAGES(s, d), g, k).agg(F.sum(F.octet_length("uri")).alias("bytes")).select(F.lit("dereferenceability").alias("metric"), F.lit(f"P{n}").alias("variant"), "bytes") for n, (g, k) in enumerate(((10, 1000), (50, 100), (50, 10000), (100, 1000)), 1)]
+    rows.append(s.createDataFrame([("conciseness", f"P{n}", m // 8) for n, (_, m) in enumerate(SETTINGS, 1)], "metric string, variant string, bytes long"))
+    return reduce(DataFrame.unionByName, rows)
+
+
+add("state_bytes", _state, " UNION ALL ".join([f"SELECT 'dereferenceability' AS metric, 'P{n}' AS variant, sum(octet_length(encode(uri)))::BIGINT AS bytes FROM ({_two_level_sql(g, k)})" for n, (g, k) in enumerate(((10, 1000), (50, 100), (50, 10000), (100, 1000)), 1)] + [f"SELECT 'conciseness', 'P{n}', {m // 8}::BIGINT" for n, (_, m) in enumerate(SETTINGS, 1)]))
+
+
+def _ladder(s, d):
+    from .experiments import ladder
+
+    return ladder(s, d).select("dataset", "metric", "variant", "value", "exact", "seconds")
+
+
+add("size_ladder_runtime", _ladder)
 add("quality_grid", lambda s, d: framework.pivot(_observed(s, d), ["orders", "documents", "part", "events"]), "SELECT metric, variant, " + ", ".join(f"max(value) FILTER (WHERE dataset = '{v}') AS {v}" for v in ("orders", "documents", "part", "events")) + f" FROM ({_observed_sql()}) GROUP BY metric, variant")
 add("observations_as_triples", lambda s, d: framework.as_triples(_observed(s, d)), f"""WITH o AS ({_observed_sql()}), n AS (SELECT *, '_:' || md5(dataset || '|' || metric || '|' || variant) AS s FROM o)
 SELECT s, 'https://quality.example.org/dataset' AS p, 'https://quality.example.org/' || dataset AS o, 'uri' AS o_kind, NULL::VARCHAR AS o_datatype FROM n UNION ALL SELECT s, 'https://quality.example.org/metric', 'https://quality.example.org/' || metric, 'uri', NULL FROM n
@@ -491,8 +526,8 @@ def _sql(text: str):
 add("udf_murmur", _sql("SELECT c_custkey, h.h1, h.h2 FROM (SELECT c_custkey, murmur3_128(c_name) AS h FROM {customer})"))
 add("udaf_reservoir", _sql("SELECT event_type, array_join(reservoir_agg(cast(user_id AS string)), ',') AS users FROM {events} GROUP BY event_type"), "SELECT event_type, string_agg(u, ',' ORDER BY r) AS users FROM (SELECT event_type, u, row_number() OVER (PARTITION BY event_type ORDER BY md5('0|' || u), u) AS r FROM (SELECT DISTINCT event_type, user_id::VARCHAR AS u FROM events)) WHERE r <= 16 GROUP BY event_type")
 add("udtf_ntriples", _sql("SELECT t.* FROM (SELECT concat('<https://n/', n_nationkey, '> <name> \"', n_name, '\" .') AS line FROM {nation}) x, LATERAL ntriples_parse(x.line) t"), "SELECT 'https://n/' || n_nationkey AS s, 'name' AS p, n_name AS o, 'literal' AS o_kind FROM nation")
-add("udtf_walk", _sql("SELECT * FROM walk_steps(40, 3, 200, 1)"))
+add("udtf_walk", _sql("SELECT w.* FROM walk_steps(TABLE(SELECT concat('n', n_nationkey) AS src, concat('r', n_regionkey) AS dst FROM {nation}) WITH SINGLE PARTITION, 200, 1) w"))
 add("lateral_last_orders", _sql("SELECT c_custkey, o.o_orderkey FROM {customer} c, LATERAL (SELECT o_orderkey FROM {orders} WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2) o"), "SELECT c_custkey, o_orderkey FROM (SELECT o_custkey AS c_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM orders SEMI JOIN customer ON o_custkey = c_custkey) WHERE r <= 2")
-add("full_join_keys", lambda s, d: table(s, d, "customer").select(F.col("c_custkey").alias("k")).where("k % 3 = 0").alias("a").join(table(s, d, "supplier").select(F.col("s_suppkey").alias("k")).where("k % 2 = 0").alias("b"), F.col("a.k") == F.col("b.k"), "full").select(F.col("a.k").alias("c"), F.col("b.k").alias("s")), "SELECT a.k AS c, b.k AS s FROM (SELECT c_custkey AS k FROM customer WHERE c_custkey % 3 = 0) a FULL JOIN (SELECT s_suppkey AS k FROM supplier WHERE s_suppkey % 2 = 0) b ON a.k = b.k")
+add("full_join_keys", lambda s, d: table(s, d, "labels").select(F.col("doc_id").alias("a")).join(table(s, d, "pages").select(F.col("page_id").alias("b")), F.col("a") == F.col("b"), "full"), "SELECT doc_id AS a, page_id AS b FROM labels FULL JOIN pages ON doc_id = page_id")
 add("shuffle_hash_join", lambda s, d: table(s, d, "orders").join(table(s, d, "customer").hint("shuffle_hash"), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n")), "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
 add("cosine_to_first", lambda s, d: (lambda e: e.crossJoin(F.broadcast(e.orderBy("vec_id").limit(1).select(F.col("v").alias("u")))).select("vec_id", F.round(F.aggregate(F.zip_with("v", "u", lambda a, b: a * b), F.lit(0.0), lambda x, y: x + y), 6).alias("c")))(table(s, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))), "SELECT vec_id, round(list_inner_product(embedding::DOUBLE[], (SELECT embedding::DOUBLE[] FROM embeddings ORDER BY vec_id LIMIT 1)), 6) AS c FROM embeddings")

@@ -155,9 +155,10 @@ def test_walk_estimates_agree_with_exact(spark):
     assert abs(one(clustering.estimate(long, edges)).value - exact) < 0.04
     assert abs(one(clustering.one_shot(edges, 600, 3)).value - exact) < 0.12
     assert abs(one(clustering.estimate(long, edges, "global")).value - one(clustering.exact_global(edges)).value) < 0.04
-    lists, joins = (sorted(map(tuple, clustering.walk(edges, seed=4, walkers=3, steps=45, most_edges=m).collect())) for m in (10**6, 0))
+    walks = [clustering.wedges(clustering.walk(edges, seed=4, walkers=3, steps=45, most_edges=m), edges) for m in (10**6, 0)]
+    lists, joins = (sorted((tuple(x) for x in w.select("walker", "step", "v", "d", "before", "after", "closed").collect()), key=str) for w in walks)
     assert lists == joins
-    assert clustering.steps_for(18630, 1.0) == 97 and clustering.steps_for(2, 0.1) == 3 and clustering.normalise(1.3) == 1.0 and clustering.normalise(0.2, "complement") == 0.8
+    assert clustering.steps_for(18630, 1.0) == 97 and clustering.steps_for(2, 0.1) == 3
     edges.unpersist()
 
 
@@ -231,3 +232,72 @@ def test_experiments_show_what_is_reported(spark, sf_dir):
     con = experiments.extensional_conciseness(spark, sf_dir, ("orders", "part"))
     dev = {(r.dataset, r.variant): r.absolute for r in framework.deviation(con).collect()}
     assert all(dev[d, "P4"] <= dev[d, "P1"] and dev[d, "P4"] < 0.02 for d in ("orders", "part"))
+
+
+def replay(instances, k, bits, seed):
+    """The balanced resetting filter in plain Python, bit by bit."""
+    size, planes, out = bits // k, [set() for _ in range(k)], {}
+    ordered = sorted(instances)
+    at, where, chance = bloom.draws([s for _, s in ordered], [q for q, _ in ordered], k, size, seed)
+    for i, row in enumerate(ordered):
+        seen = all(at[i][j] in planes[j] for j in range(k))
+        out.setdefault(row, []).append(seen)
+        if not seen:
+            for j in range(k):
+                if chance[i][j] < len(planes[j]) / size:
+                    planes[j].discard(where[i][j])
+            for j in range(k):
+                planes[j].add(at[i][j])
+    return out
+
+
+@pytest.mark.parametrize("k,bits", [(2, 1_000), (5, 10_000)])
+def test_resetting_filter_flag_for_flag(spark, sf_dir, k, bits):
+    from approxdq.queries import instance_set
+
+    own = instance_set(spark, sf_dir, "lineitem")
+    rows = [(r.seq, r.sig) for r in own.collect()]
+    want = {x: sorted(v) for x, v in replay(rows, k, bits, 0).items()}
+    for n in (3, 8):
+        got = {}
+        for r in bloom.flag_balanced(own.repartition(n), bits, k=k).collect():
+            got.setdefault((r.seq, r.sig), []).append(r.is_dup)
+        assert {x: sorted(v) for x, v in got.items()} == want
+
+
+def test_quotient_filter_of_slots():
+    r = random.Random(3)
+    for q, rem in ((3, 8), (6, 5), (4, 12)):
+        f, held = bloom.QuotientFilter(q, rem), set()
+        full = (1 << (q + rem)) - 1
+        for _ in range(400):
+            h = r.randrange(full + 1) if r.random() < 0.7 else r.randrange(8) << rem | r.randrange(4)
+            bits = f.q + f.r
+            assert f.add(h) == (h in held) and bits == q + rem
+            held.add(h)
+            assert h in f
+            if len(held) > 0.8 * (1 << 12):
+                break
+        assert sorted(f.hashes()) == sorted(held) and f.count == len(held)
+        assert all((h in f) == (h in held) for h in range(min(full + 1, 3000)))
+
+
+def test_probe_asks_the_given_fetch(spark, triples):
+    uris_ = dereference.all_uris(triples)
+    alive = {r.pld: r.alive for r in dereference.domain_probe(uris_, answer).collect()}
+    assert alive == {"a.example.org": False, "b.example.com": False}  # 503 for the owners' own pages
+    up = lambda u: answer(u).withColumn("status", F.when(F.col("uri") == A, 200).otherwise(F.col("status")))
+    assert {r.pld: r.alive for r in dereference.domain_probe(uris_, up).collect()} == {"a.example.org": True, "b.example.com": False}
+    assert one(dereference.estimate(triples, 10, 10, fetch=up))[:2] == (3, 6)
+
+
+def test_links_gain_and_reach(spark):
+    edges = graphs.undirected(spark.createDataFrame([("a", "b"), ("b", "c"), ("a", "c"), ("c", "d"), ("d", "e")], "a string, b string"))
+    got = {(r.a, r.b): r for r in catalog.interlink_quality(edges).collect()}
+    for (a, b), r in got.items():
+        without = edges.where(~((F.col("src").isin(a, b)) & (F.col("dst").isin(a, b))))
+        was, now = ({x.v: x.c for x in clustering.local(e).collect()} for e in (without, edges))
+        assert math.isclose(r.gain_a, now[a] - was.get(a, 0)) and math.isclose(r.gain_b, now[b] - was.get(b, 0))
+    reach = {(r.a, r.b): r for r in catalog.interlink_reach(edges, edges.where("src < dst").select(F.col("src").alias("a"), F.col("dst").alias("b")), steps=400).collect()}
+    assert all((r.reach_a, r.reach_b) == (5, 5) for r in reach.values())
+    assert (reach["d", "e"].without_a, reach["d", "e"].without_b) == (4, 1) and (reach["c", "d"].without_a, reach["c", "d"].without_b) == (3, 2)
