@@ -49,10 +49,10 @@ def exact(triples: DataFrame, mode: str = "pair") -> DataFrame:
     return based.agg(numer.alias("numer"), F.count(F.lit(1)).alias("denom")).select("numer", "denom", (F.col("numer") / F.col("denom")).alias("value"))
 
 
-def estimate(triples: DataFrame, k: int, unit: str = "occurrence", seed: int = 0) -> DataFrame:
+def estimate(triples: DataFrame, k: int, unit: str = "occurrence", seed: int = 0, base: DataFrame | None = None) -> DataFrame:
     """From a reservoir of k objects: ``occurrence`` samples URI objects, ``distinct`` samples owners (then the number
     of URI objects is the denominator, and the result is exact once all owners fit)."""
-    base = F.broadcast(base_uri(triples))
+    base = F.broadcast(base_uri(triples) if base is None else base)
     if unit == "distinct":
         owners = reservoir.bottom_k(objects(triples), ["opld"], k, seed, unit="distinct")
         away = owners.join(base).agg(F.count_if(F.col("opld") != F.col("pld")).alias("numer"))

@@ -135,8 +135,8 @@ add("requests_issued", lambda s, d: dereference.requests(_PAGES(s, d), 50, 100),
 _LINK_VIEWS = ("orders", "lineitem")
 
 
-def _trade(s, d):
-    return mappings.triples(s, d, "orders", kind="uri").unionByName(mappings.triples(s, d, "lineitem", kind="uri")).unionByName(mappings.declaration(s))
+def _trade(s, d, early=False):
+    return mappings.triples(s, d, "orders", kind="uri", early=early).unionByName(mappings.triples(s, d, "lineitem", kind="uri", early=early)).unionByName(mappings.declaration(s))
 
 
 _TRADE_SQL = f"SELECT * FROM ({T('orders')}) UNION ALL SELECT * FROM ({T('lineitem')}) UNION ALL SELECT 'https://sales.example.net/', 'type', '{mappings.VOCAB}Dataset', 'uri', NULL"
@@ -161,7 +161,7 @@ def _nation_links(s, d):
 
 for _n, _k in enumerate((5000, 10000, 20000, 50000), 1):
     _s = f"SELECT opld FROM ({_OBJ(_TRADE_SQL)}) ORDER BY {key_sql(0, 's', 'p', 'o')}, s, p, o LIMIT {_k}"
-    add(f"links_p{_n}", lambda s, d, k=_k: links.estimate(_trade(s, d), k), f"{_R(f'count_if(opld <> {_BASE})')} FROM ({_s})")
+    add(f"links_p{_n}", lambda s, d, k=_k: links.estimate(_trade(s, d, True), k, base=links.base_uri(_trade(s, d))), f"{_R(f'count_if(opld <> {_BASE})')} FROM ({_s})")
 add("links_reservoir_owners", lambda s, d: links.estimate(_trade(s, d), 5000, unit="distinct"), f"{_R(f'count(DISTINCT opld) FILTER (WHERE opld <> {_BASE})')} FROM ({_OBJ(_TRADE_SQL)})")
 add("base_uri_declared", lambda s, d: links.from_declaration(_trade(s, d)), f"SELECT {_BASE} AS pld")
 add("base_uri_majority", lambda s, d: links.from_majority(mappings.triples(s, d, "customer")), _MAJORITY(T("customer")))
