@@ -7,7 +7,7 @@ count against them. A text of fewer than 3 words is one run. Sketches of few wor
 ``SHORT`` words have exact keys besides: e edits leave the longer of two texts, of N words, N - e words in e + 1 runs
 at most, so two similar texts share a run of (N - e) / (e + 1) words, rounded up.
 
-1. Equal word sequences are collapsed to one representative, named by a 128-bit digest; only these go on.
+1. Equal word sequences (by 128-bit digests) are collapsed to one representative, named by 64 bits; only these go on.
 2. Representatives that share a sketch or an exact key are candidates, in two rounds. First each one is paired with
    the member that is most often the least one of its buckets: one pair for each, which settles groups of near
    copies. Only the buckets that then still hold two classes go on: up to ``SMALL`` members, with all their pairs across
@@ -126,7 +126,12 @@ def _name(words: np.ndarray) -> bytes:
     return hashlib.blake2b(words.tobytes(), digest_size=16).digest()
 
 
-def signatures(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
+def names(docs: DataFrame) -> DataFrame:
+    """doc_id, r1, r2 (digests of the row), copy (digest of the word sequence, null for a null text)."""
+    return signatures(docs, keyed=False).select("doc_id", "r1", "r2", "copy")
+
+
+def signatures(docs: DataFrame, similarity: float = 0.8, keyed: bool = True) -> DataFrame:
     """doc_id, r1, r2 (digests of the row), copy (digest of the word sequence, null for a null text), n words, keys (sketches and exact ones; null without words)."""
 
     def work(piece: pa.RecordBatch) -> pa.RecordBatch:
@@ -135,10 +140,12 @@ def signatures(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
         starts, ends, rows = C.word_spans(low, offsets, C.IS_WORD)
         words = C.span_hashes(low, starts, ends)
         n = np.bincount(rows, minlength=piece.num_rows)
-        extra, exact = seeds(words, rows, piece.num_rows, similarity)
-        order = np.argsort(extra, kind="stable")
-        exact = np.split(exact[order].view(np.int64), np.cumsum(np.bincount(extra, minlength=piece.num_rows))[:-1])
-        keys = [np.append(k, more) for k, more in zip(sketches(words, rows, piece.num_rows).view(np.int64), exact, strict=True)]
+        keys = [None] * piece.num_rows
+        if keyed:
+            extra, exact = seeds(words, rows, piece.num_rows, similarity)
+            order = np.argsort(extra, kind="stable")
+            exact = np.split(exact[order].view(np.int64), np.cumsum(np.bincount(extra, minlength=piece.num_rows))[:-1])
+            keys = [np.append(k, more) for k, more in zip(sketches(words, rows, piece.num_rows).view(np.int64), exact, strict=True)]
         edges = np.append(0, np.cumsum(n))
         null = piece.column("text").is_null().to_pylist()
         copy = [None if null[i] else _name(words[edges[i] : edges[i + 1]]) if n[i] else hashlib.blake2b(b"raw" + data[offsets[i] : offsets[i + 1]].tobytes(), digest_size=16).digest() for i in range(piece.num_rows)]
@@ -201,7 +208,7 @@ def similar(a: np.ndarray, b: np.ndarray, similarity: float) -> bool:
     return edit_distance(a, b, most) is not None
 
 
-#: Names that are broadcast at most (16 bytes each); beyond it the documents are joined by a shuffle.
+#: Rows that are broadcast at most (16 bytes each); beyond it the documents are joined by a shuffle.
 MOST_IDS = 1 << 20
 
 
@@ -219,7 +226,8 @@ def _words_of(docs: DataFrame, own: DataFrame, ids: DataFrame) -> DataFrame:
         names = [_name(hashes[x:y]) for x, y in zip(edges, edges[1:], strict=False)]
         return pa.RecordBatch.from_arrays([pa.array(names, pa.binary()), pa.array(_sequence(hashes, rows, piece.num_rows), pa.binary())], names=["id", "words"])
 
-    return C.map_pieces(texts, words, "id binary, words binary").dropDuplicates(["id"])
+    named = C.map_pieces(texts, words, "id binary, words binary")
+    return named.select(F.xxhash64("id").alias("id"), "words").dropDuplicates(["id"])
 
 
 def _sequence(words: np.ndarray, rows: np.ndarray, n: int) -> list[bytes]:
@@ -237,7 +245,7 @@ def verify(pairs: DataFrame, words: DataFrame, similarity: float) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(ok, pa.bool_())], names=["a", "b", "ok"])
 
     joined = pairs.join(words.select(F.col("id").alias("b"), F.col("words").alias("y")), "b").join(words.select(F.col("id").alias("a"), F.col("words").alias("x")), "a")
-    return joined.select("a", "b", "x", "y").mapInArrow(check, "a binary, b binary, ok boolean")
+    return joined.select("a", "b", "x", "y").mapInArrow(check, "a long, b long, ok boolean")
 
 
 def _buckets(members: DataFrame) -> DataFrame:
@@ -321,9 +329,9 @@ def _blocks(members: DataFrame, words: DataFrame, similarity: float) -> DataFram
                     up[max(p, q)] = min(p, q)
                     out_a.append(min(ids[i], ids[j]))
                     out_b.append(max(ids[i], ids[j]))
-        return pa.table({"a": pa.array(out_a, pa.binary()), "b": pa.array(out_b, pa.binary())})
+        return pa.table({"a": pa.array(out_a, pa.int64()), "b": pa.array(out_b, pa.int64())})
 
-    return dealt.groupBy("key", "lo", "hi").applyInArrow(compare, "a binary, b binary")
+    return dealt.groupBy("key", "lo", "hi").applyInArrow(compare, "a long, b long")
 
 
 def lower_keys(lists: list[list[int]]) -> np.ndarray:
@@ -378,16 +386,16 @@ def components(edges: DataFrame) -> DataFrame:
 
 def _flags(docs: DataFrame, similarity: float) -> DataFrame:
     """Each row's doc_id, r1, r2, copy, class_id, n_copies, n_links and kept."""
-    own = cut(signatures(docs, similarity))
+    own = names(docs)  # read again at the end: cheaper than to keep the keys of every row
     order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "r1", "r2")
-    groups = own.where("copy is not null").groupBy(F.col("copy").alias("id")).agg(F.min(order).alias("best"), F.count(F.lit(1)).alias("n_copies"), F.min_by("n", order).alias("n"), F.min_by("keys", order).alias("keys"))
-    groups = cut(groups.select("id", "best", "best.r1", "best.r2", "n_copies", "n", "keys"))
+    groups = signatures(docs, similarity).where("copy is not null").groupBy("copy").agg(F.min(order).alias("best"), F.count(F.lit(1)).alias("n_copies"), F.min_by("n", order).alias("n"), F.min_by("keys", order).alias("keys"))
+    groups = cut(groups.select("copy", F.xxhash64("copy").alias("id"), "best", "best.r1", "best.r2", "n_copies", "n", "keys"))
     label, links = classes(groups.select("id", "r1", "r2", "n", "keys"), docs, similarity)
     degree = links.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count(F.lit(1)).alias("n_links"))
-    found = groups.select("id", "best", "n_copies").join(label, "id", "left").join(degree, "id", "left").select("id", "best", "n_copies", F.coalesce("label", "id").alias("label"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    found = groups.select("id", "copy", "best", "n_copies").join(label, "id", "left").join(degree, "id", "left").select("copy", "best", "n_copies", F.coalesce("label", "id").alias("label"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
     found = cut(found)
     top = found.groupBy("label").agg(F.min("best").alias("top"))
-    named = found.join(top, "label").select(F.col("id").alias("copy"), "top", "n_copies", "n_links")
+    named = found.join(top, "label").select("copy", "top", "n_copies", "n_links")
     rows = own.select("doc_id", "r1", "r2", "copy").join(named, "copy", "left")
     alone = F.col("copy").isNull()
     kept = alone | ((F.col("r1") == F.col("top.r1")) & (F.col("r2") == F.col("top.r2")))
