@@ -36,14 +36,14 @@ def objects(triples: DataFrame) -> DataFrame:
     return triples.where("o_kind = 'uri'").select(owner(F.col("s")).alias("spld"), owner(F.col("o")).alias("opld"))
 
 
-def exact(triples: DataFrame, mode: str = "pair") -> DataFrame:
-    """Share of URI objects of another owner. ``pair``: than the subject's; ``base``: than the base URI's;
-    ``distinct_over_total``: distinct such owners over URI objects."""
+def exact(triples: DataFrame, mode: str = "pair", base: DataFrame | None = None) -> DataFrame:
+    """Share of URI objects of another owner. ``pair``: than the subject's; ``base``: than the base URI's (``base``, if
+    it is known); ``distinct_over_total``: distinct such owners over URI objects."""
     uris = objects(triples)
     if mode == "pair":
         numer = F.count_if(F.col("opld") != F.col("spld"))
         return uris.agg(numer.alias("numer"), F.count(F.lit(1)).alias("denom")).select("numer", "denom", (F.col("numer") / F.col("denom")).alias("value"))
-    based = uris.join(F.broadcast(base_uri(triples)))  # one row
+    based = uris.join(F.broadcast(base_uri(triples) if base is None else base))  # one row
     away = F.col("opld") != F.col("pld")
     numer = F.count_if(away) if mode == "base" else F.count_distinct(F.when(away, F.col("opld")))
     return based.agg(numer.alias("numer"), F.count(F.lit(1)).alias("denom")).select("numer", "denom", (F.col("numer") / F.col("denom")).alias("value"))
@@ -51,12 +51,15 @@ def exact(triples: DataFrame, mode: str = "pair") -> DataFrame:
 
 def estimate(triples: DataFrame, k: int, unit: str = "occurrence", seed: int = 0, base: DataFrame | None = None) -> DataFrame:
     """From a reservoir of k objects: ``occurrence`` samples URI objects, ``distinct`` samples owners (then the number
-    of URI objects is the denominator, and the result is exact once all owners fit)."""
+    of URI objects is the denominator, and the result is exact once all owners fit). Triples with a ``rid`` (a 64-bit name
+    of the row they come from) are sampled by a 64-bit hash of it, without their subjects; others by a digest of the triple,
+    which another engine can repeat."""
     base = F.broadcast(base_uri(triples) if base is None else base)
     if unit == "distinct":
         owners = reservoir.bottom_k(objects(triples), ["opld"], k, seed, unit="distinct")
         away = owners.join(base).agg(F.count_if(F.col("opld") != F.col("pld")).alias("numer"))
         return away.crossJoin(objects(triples).agg(F.count(F.lit(1)).alias("denom"))).select("numer", "denom", (F.col("numer") / F.col("denom")).alias("value"))
-    rows = triples.where("o_kind = 'uri'").select("s", "p", "o")
-    sample = reservoir.bottom_k(rows, ["s", "p", "o"], k, seed).join(base)
+    ids, form = (["rid", "p", "o"], "fast") if "rid" in triples.columns else (["s", "p", "o"], "md5")
+    rows = triples.where("o_kind = 'uri'").select(*ids)
+    sample = reservoir.bottom_k(rows, ids, k, seed, form).join(base)
     return sample.agg(F.count_if(owner(F.col("o")) != F.col("pld")).alias("numer"), F.count(F.lit(1)).alias("denom")).select("numer", "denom", (F.col("numer") / F.col("denom")).alias("value"))

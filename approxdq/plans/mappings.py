@@ -54,15 +54,17 @@ def source(spark: SparkSession, sf_dir: str, view: str) -> DataFrame:
     return base.join(table(spark, sf_dir, names[1]), F.expr(names[2]))
 
 
-def triples(spark: SparkSession, sf_dir: str, view: str, predicates: tuple[str, ...] = (), kind: str | None = None, early: bool = False) -> DataFrame:
+def triples(spark: SparkSession, sf_dir: str, view: str, predicates: tuple[str, ...] = (), kind: str | None = None, early: bool = False, row: tuple[str, ...] = ()) -> DataFrame:
     """s, p, o, o_kind, o_datatype of a view (only these predicates or this kind of objects, if given; columns that
     aren't needed aren't read). ``early``: subjects are made once a row, for plans that use them in each triple; else
-    where they are used."""
+    where they are used. ``row``: columns that tell the rows apart; their hash is added as ``rid``, a name of the row
+    that costs less than its subject."""
     _, subject, columns = VIEWS[view]
     each = [F.struct(F.lit(p).alias("p"), F.expr(o).cast("string").alias("o"), F.lit(k).alias("o_kind"), F.lit(d).cast("string").alias("o_datatype")) for p, o, k, d in columns if (not predicates or p in predicates) and kind in (None, k)]
     base = source(spark, sf_dir, view)
-    whole = base.select(F.expr(subject).alias("s"), F.array(*each).alias("ts")).select("s", F.explode("ts").alias("t")) if early else base.select(F.expr(subject).alias("s"), F.explode(F.array(*each)).alias("t"))
-    out = whole.select("s", "t.*").where("o is not null")
+    names = [F.expr(subject).alias("s")] + ([F.xxhash64(*row).alias("rid")] if row else [])
+    whole = base.select(*names, F.array(*each).alias("ts")).select("*", F.explode("ts").alias("t")).drop("ts") if early else base.select(*names, F.explode(F.array(*each)).alias("t"))
+    out = whole.select("*", "t.*").drop("t").where("o is not null")
     return out.unionByName(page_links(spark, sf_dir)) if view == "pages" and (not predicates or "link" in predicates) else out
 
 

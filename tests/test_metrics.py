@@ -301,3 +301,16 @@ def test_links_gain_and_reach(spark):
     reach = {(r.a, r.b): r for r in catalog.interlink_reach(edges, edges.where("src < dst").select(F.col("src").alias("a"), F.col("dst").alias("b")), steps=400).collect()}
     assert all((r.reach_a, r.reach_b) == (5, 5) for r in reach.values())
     assert (reach["d", "e"].without_a, reach["d", "e"].without_b) == (4, 1) and (reach["c", "d"].without_a, reach["c", "d"].without_b) == (3, 2)
+
+
+def test_links_by_row_names(spark, sf_dir):
+    """Samples by row names: all of the triples give the exact share, smaller ones come near it, and seeds differ."""
+    from approxdq import queries
+
+    rows, base = queries._trade_rows(spark, sf_dir).cache(), queries._declared(spark, sf_dir)
+    exact = links.exact(rows, "base", base).first()
+    assert links.estimate(rows, exact.denom, base=base).first() == exact
+    got = [links.estimate(rows, 2000, seed=seed, base=base).first() for seed in range(3)]
+    assert all(r.denom == 2000 and abs(r.value - exact.value) < 4 * math.sqrt(exact.value * (1 - exact.value) / 2000) for r in got)
+    assert len({r.numer for r in got}) > 1
+    rows.unpersist()
