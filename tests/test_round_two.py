@@ -4,6 +4,7 @@ import numpy as np
 import pandas as pd
 
 from approxdq import queries
+from approxdq.operators import catalog
 
 
 def test_lateral_orders_hold_over_partitions(spark, tmp_path):
@@ -19,3 +20,9 @@ def test_lateral_orders_hold_over_partitions(spark, tmp_path):
     finally:
         spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
     assert sorted((r.c_custkey, r.o_orderkey) for r in got) == sorted(zip(best["o_custkey"].tolist(), best["o_orderkey"].tolist(), strict=True))
+
+
+def test_full_filters_do_not_merge_extensions(spark):
+    rows = [(f"s{i}", p, f"{p[0]}{i}") for i in range(2000) for p in ("alpha", "beta")] + [(f"s{i}", "also", f"a{i}") for i in range(2000)]
+    t = spark.createDataFrame(rows, "s string, p string, o string")
+    assert catalog.intensional_conciseness(t, bits=256).first().asDict() == catalog.intensional_conciseness(t).first().asDict() == {"numer": 2, "denom": 3, "value": 2 / 3}
