@@ -4,7 +4,7 @@ import numpy as np
 import pandas as pd
 
 from approxdq import queries
-from approxdq.operators import catalog
+from approxdq.operators import bloom, catalog
 
 
 def test_lateral_orders_hold_over_partitions(spark, tmp_path):
@@ -26,3 +26,11 @@ def test_full_filters_do_not_merge_extensions(spark):
     rows = [(f"s{i}", p, f"{p[0]}{i}") for i in range(2000) for p in ("alpha", "beta")] + [(f"s{i}", "also", f"a{i}") for i in range(2000)]
     t = spark.createDataFrame(rows, "s string, p string, o string")
     assert catalog.intensional_conciseness(t, bits=256).first().asDict() == catalog.intensional_conciseness(t).first().asDict() == {"numer": 2, "denom": 3, "value": 2 / 3}
+
+
+def test_plain_filter_sends_no_bits_to_the_driver(spark):
+    """Joins of the replay are merged, and a repeated seq is one element as before."""
+    rows = spark.createDataFrame([(i, f"{i % 40:032x}") for i in range(100)], "seq long, sig string")
+    flags = bloom.flag_classic(rows, 2, 1 << 12)
+    assert "BroadcastHashJoin" not in flags._jdf.queryExecution().executedPlan().toString()
+    assert {r.seq: r.is_dup for r in flags.collect()} == {i: i >= 40 for i in range(100)}
