@@ -34,3 +34,8 @@ def test_plain_filter_sends_no_bits_to_the_driver(spark):
     flags = bloom.flag_classic(rows, 2, 1 << 12)
     assert "BroadcastHashJoin" not in flags._jdf.queryExecution().executedPlan().toString()
     assert {r.seq: r.is_dup for r in flags.collect()} == {i: i >= 40 for i in range(100)}
+
+
+def test_grid_comes_from_given_tables(spark, sf_dir):
+    df = queries.QUERIES["param_grid"](spark, sf_dir)
+    assert {f.rsplit("/", 1)[-1] for f in df.inputFiles()} == {"lineitem.parquet", "orders.parquet"} and df.count() > 1
