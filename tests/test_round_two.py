@@ -4,7 +4,8 @@ import numpy as np
 import pandas as pd
 
 from approxdq import queries
-from approxdq.operators import bloom, catalog
+from approxdq.operators import bloom, catalog, clustering
+from approxdq.plans import graphs
 
 
 def test_lateral_orders_hold_over_partitions(spark, tmp_path):
@@ -39,3 +40,12 @@ def test_plain_filter_sends_no_bits_to_the_driver(spark):
 def test_grid_comes_from_given_tables(spark, sf_dir):
     df = queries.QUERIES["param_grid"](spark, sf_dir)
     assert {f.rsplit("/", 1)[-1] for f in df.inputFiles()} == {"lineitem.parquet", "orders.parquet"} and df.count() > 1
+
+
+def test_walk_by_look_ups_equals_walk_by_lists(spark, monkeypatch):
+    """Also where the drawn neighbour of a hub is looked up by its number."""
+    monkeypatch.setattr(clustering.Files, "FEW", 2)
+    pairs = spark.createDataFrame([("h", f"v{i}") for i in range(12)] + [(f"v{i}", f"v{i + 1}") for i in range(11)], "a string, b string")
+    edges = graphs.undirected(pairs)
+    few, many = ({(r.walker, r.step): r for r in clustering.walk(edges, seed=3, walkers=2, steps=12, most_edges=m).collect()} for m in (10**6, 0))
+    assert few == many and len(few) == 12
