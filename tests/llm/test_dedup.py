@@ -112,3 +112,22 @@ def test_common_line_among_other_texts(spark, crowd):
     want = brute_bytes(rows, 50)
     got = {x.doc_id: (x.n_bytes, x.n_removed, x.n_spans, x.kept_sha256) for x in suffix_dedup.without_repeats(docs, 50, plan, crowd).collect()}
     assert got == want
+
+
+def test_only_an_anchor_that_fills_a_shard_is_split():
+    """Anchors 1 and 2 are in all chunks, with nine snippets in each and with a thousand."""
+    own = np.array([1, 2], np.uint64)
+    body = Writer().numbers(own, True).bits(np.array([False, True])).numbers(np.array([9, 1000])).done()
+    for most, split in ((0, [True, True]), (16384, [False, True]), (1 << 20, [False, False])):
+        for b in suffix_dedup.merged_crowds([Reader(body) for _ in range(70)], 64, most):
+            r = Reader(b)
+            assert r.bits().all() and list(r.bits()) == split
+
+
+def test_anchors_of_short_and_long_strings():
+    """Equal strings have equal anchors, also where strings are shorter than an anchor."""
+    data = np.frombuffer(b"a common passage of some sixty bytes that stands in two texts, " * 2, np.uint8)
+    for size in (16, 20, 50):
+        first, count, gram = suffix_dedup.anchors(data, np.array([0, len(data)]), size)
+        of = np.repeat(gram, count)
+        assert len(of) == len(data) - size + 1 and (of[: len(of) - 63] == of[63:]).all()
