@@ -6,7 +6,7 @@ import numpy as np
 import pandas as pd
 
 from approxdq import queries
-from approxdq.operators import bloom, catalog, clustering
+from approxdq.operators import bloom, catalog, clustering, conciseness
 from approxdq.plans import graphs
 
 
@@ -59,3 +59,12 @@ def test_quotient_filter_is_made_once_a_shard(spark):
     start = time.perf_counter()
     assert {r.seq: r.is_dup for r in bloom.flag_quotient(rows, 26, 10, shards=1).collect()} == {i: i >= 700 for i in range(1000)}
     assert time.perf_counter() - start < 60
+
+
+def test_pairwise_sends_blocks_and_not_instances(spark):
+    """A baseline of some sixty thousand instances: a row for each two blocks, and each instance once; a repeated seq is two instances."""
+    rows = spark.range(60_000).selectExpr("cast(id / 2 as long) as seq", "md5(cast(id % 45000 as string)) as sig")
+    start = time.perf_counter()
+    assert conciseness.pairwise(rows, 8192).first().asDict() == {"numer": 45_000, "denom": 60_000, "value": 0.75}
+    assert time.perf_counter() - start < 120
+    assert conciseness.pairwise(rows.limit(0)).first().value == 1.0
