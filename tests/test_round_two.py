@@ -68,3 +68,19 @@ def test_pairwise_sends_blocks_and_not_instances(spark):
     assert conciseness.pairwise(rows, 8192).first().asDict() == {"numer": 45_000, "denom": 60_000, "value": 0.75}
     assert time.perf_counter() - start < 120
     assert conciseness.pairwise(rows.limit(0)).first().value == 1.0
+
+
+def test_seen_elements_draw_no_numbers():
+    """Flags and state equal those of elements added one by one; with room in the filter, numbers are drawn for few."""
+    sig, seq = [f"s{i * i % 997 % 150}" for i in range(4000)], list(range(4000))
+    for policy in ("balanced", "reservoir", "biased", "biased_single", "none"):
+        for bits, few in ((400, False), (40_000, True)):
+            one, all_, drawn = bloom.ResettingFilter(4, bits, policy), bloom.ResettingFilter(4, bits, policy), []
+            want = [one.add(*x) for x in zip(*bloom.draws(sig, seq, 4, bits // 4, 0), strict=True)]
+            got = []
+            for i in range(0, 4000, 500):
+                def random(r, i=i):
+                    drawn.extend(r)
+                    return bloom.chances([sig[i + x] for x in r], [seq[i + x] for x in r], 4, bits // 4, 0)
+                got += all_.add_all(bloom.places(sig[i : i + 500], 4, bits // 4, 0), random)
+            assert got == want and all_.state() == one.state() and (len(drawn) < 1500 or not few)
