@@ -84,3 +84,45 @@ def test_seen_elements_draw_no_numbers():
                     return bloom.chances([sig[i + x] for x in r], [seq[i + x] for x in r], 4, bits // 4, 0)
                 got += all_.add_all(bloom.places(sig[i : i + 500], 4, bits // 4, 0), random)
             assert got == want and all_.state() == one.state() and (len(drawn) < 1500 or not few)
+
+
+def test_triangles_by_colours_equal_joins(spark, monkeypatch):
+    """Vertices, degrees, triangles and coefficients of numbered edges, in one task and in many; repeats, loops, nulls and the
+    largest numbers do no harm, and no units are left. Hubs and two cliques give triangles of one, two and three colours."""
+    from approxdq.operators import coloured
+
+    rng = np.random.default_rng(3)
+    pairs = rng.integers(0, 40, (260, 2)).tolist() + [(None, 3), (5, None), (6, 6), (7, -(2**63)), (2**63 - 1, 7), (-(2**63), 2**63 - 1)] + [(100, i) for i in range(40)] + [(i, j) for i in range(200, 206) for j in range(200, 206)]
+    rows = spark.createDataFrame(pairs, "src long, dst long")
+    named = graphs.undirected(rows.select(rows.src.cast("string"), rows.dst.cast("string")))
+    want = clustering.exact(named).first(), clustering.exact_global(named).first(), clustering.triangles(named).count()
+    for held in (10_000, 250):
+        monkeypatch.setattr(coloured, "HELD", held)
+        units = coloured.Units(rows)
+        assert (units.colours > 2) == (held < 300)
+        units.drop()
+        got = clustering.exact(rows).first()
+        assert got.vertices == want[0].vertices and abs(got.value - want[0].value) < 1e-12
+    none = clustering.exact(rows.limit(0)).first()
+    assert none.vertices == 0 and none.value is None
+
+
+def test_exact_clustering_writes_no_names(spark, sf_dir, monkeypatch):
+    """The commerce graph as it is read, in many tasks: no edge by name is written."""
+    from approxdq.operators import coloured
+
+    want = queries.clustering.exact(graphs.commerce(spark, sf_dir)).first()
+    monkeypatch.setattr(coloured, "HELD", 8000)
+    monkeypatch.setattr(queries, "cut", None)
+    got = queries.QUERIES["clustering_exact_commerce"](spark, sf_dir).first()
+    assert got.vertices == want.vertices and got.value == round(want.value, 9)
+
+
+def test_keys_too_large_to_number(spark, tmp_path):
+    """The graph by name takes their place."""
+    n = 1 << 59
+    pd.DataFrame({"l_orderkey": [n, n, 1], "l_partkey": [-n, 2, 2], "l_suppkey": [3, 3, 3]}).to_parquet(tmp_path / "lineitem.parquet")
+    for name, columns in (("orders", ("o_orderkey", "o_custkey")), ("customer", ("c_custkey", "c_nationkey")), ("supplier", ("s_suppkey", "s_nationkey")), ("nation", ("n_nationkey", "n_regionkey"))):
+        pd.DataFrame({c: [3] for c in columns}).to_parquet(tmp_path / f"{name}.parquet")
+    assert graphs.commerce_numbered(spark, str(tmp_path)).dtypes[0] == ("src", "string")
+    assert queries.QUERIES["clustering_exact_commerce"](spark, str(tmp_path)).first().vertices == graphs.commerce(spark, str(tmp_path)).select("src").distinct().count()
