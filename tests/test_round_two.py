@@ -126,3 +126,13 @@ def test_keys_too_large_to_number(spark, tmp_path):
         pd.DataFrame({c: [3] for c in columns}).to_parquet(tmp_path / f"{name}.parquet")
     assert graphs.commerce_numbered(spark, str(tmp_path)).dtypes[0] == ("src", "string")
     assert queries.QUERIES["clustering_exact_commerce"](spark, str(tmp_path)).first().vertices == graphs.commerce(spark, str(tmp_path)).select("src").distinct().count()
+
+
+def test_global_coefficient_of_numbered_edges(spark, sf_dir, monkeypatch):
+    from approxdq.operators import coloured
+
+    monkeypatch.setattr(coloured, "HELD", 8000)
+    monkeypatch.setattr(queries, "cut", None)
+    want = queries.clustering.exact_global(graphs.commerce(spark, sf_dir)).first()
+    got = queries.QUERIES["clustering_global"](spark, sf_dir).first()
+    assert (got.closed, got.wedges) == (want.closed, want.wedges) and got.closed > 0
