@@ -136,3 +136,12 @@ def test_global_coefficient_of_numbered_edges(spark, sf_dir, monkeypatch):
     want = queries.clustering.exact_global(graphs.commerce(spark, sf_dir)).first()
     got = queries.QUERIES["clustering_global"](spark, sf_dir).first()
     assert (got.closed, got.wedges) == (want.closed, want.wedges) and got.closed > 0
+
+
+def test_triangles_of_numbered_edges(spark, sf_dir, monkeypatch):
+    from approxdq.operators import coloured
+
+    monkeypatch.setattr(coloured, "HELD", 8000)
+    monkeypatch.setattr(queries, "cut", None)
+    assert queries.QUERIES["triangles"](spark, sf_dir).first().n == queries.clustering.triangles(graphs.commerce(spark, sf_dir)).count() > 0
+    assert clustering.count_triangles(spark.createDataFrame([], "src long, dst long")).first().n == 0
