@@ -59,3 +59,19 @@ def test_ladder_never_makes_the_commerce_graph_by_name(spark, sf_dir, monkeypatc
     assert abs(got["commerce", "clustering", "exact"] - clustering.exact(edges).first().value) < 1e-9
     assert abs(got["commerce", "clustering", "m=0.1"] - clustering.estimate(clustering.walk(edges, 0.1), edges).first().value) < 1e-9
     edges.unpersist()
+
+
+def test_encoder_remembers_the_pieces_of_a_large_table():
+    """Beyond 300,000 pieces the later ones were forgotten and encoded anew, and all but 60,000 after each task."""
+    import public_tokenizers
+
+    from approxdq.llm import bpe
+
+    enc = bpe.ByteEncoder(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
+    text = " ".join(map(str, range(100_000, 410_000)))
+    first = enc.encode(text)
+    enc.trim()
+    calls = []
+    enc.cache.encode = lambda piece: calls.append(piece) or enc.encode_piece(piece)
+    assert enc.encode(text) == first and not calls
+    assert enc.decode(first) == text.encode()
