@@ -75,3 +75,23 @@ def test_encoder_remembers_the_pieces_of_a_large_table():
     enc.cache.encode = lambda piece: calls.append(piece) or enc.encode_piece(piece)
     assert enc.encode(text) == first and not calls
     assert enc.decode(first) == text.encode()
+
+
+def test_many_ranges_of_a_stream(spark):
+    """A thousand ranges and more were one nested expression, and the driver ran out of stack; settings are read together, also one
+    that forgets nothing in the stream, and first bits that are wrong are put right within a task and across tasks."""
+    inst = stream(spark, 200_000, 900).where("seq is not null")
+    settings = [(2, 4), (3, 300), (4, 8000)]
+    want = [tuple(bloom.flag_balanced(inst, bits, k=k).agg(F.count_if(~F.col("is_dup")), F.count(F.lit(1))).first()) for k, bits in settings]
+    assert bloom.count_settings(inst, settings, held=60_000) == want
+    few = inst.where("seq < 4000")
+    want = [tuple(bloom.flag_balanced(few, bits, k=k).agg(F.count_if(~F.col("is_dup")), F.count(F.lit(1))).first()) for k, bits in settings[1:]]
+    assert bloom.count_settings(few, settings[1:], forgets=1, held=3000) == want
+
+
+def test_policies_of_a_stream_in_pieces(spark):
+    inst = stream(spark, 12_000, 900).where("seq is not null")
+    for policy in ("balanced", "biased", "biased_single", "reservoir", "none"):
+        for form in ("murmur128", "md5"):
+            want = bloom.flag_balanced(inst, 100, k=4, policy=policy, form=form).agg(F.count_if(~F.col("is_dup")), F.count(F.lit(1))).first()
+            assert bloom.count_settings(inst, [(4, 100)], policy=policy, form=form, held=5000) == [tuple(want)]
