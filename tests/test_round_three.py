@@ -1,7 +1,9 @@
 """Long streams in ranges and walks that only look up, against the forms that hold all at once."""
 
+import numpy as np
 from pyspark.sql import functions as F
 
+from approxdq import queries
 from approxdq.experiments import ladder
 from approxdq.operators import bloom, clustering, conciseness
 from approxdq.plans import graphs
@@ -95,3 +97,25 @@ def test_policies_of_a_stream_in_pieces(spark):
         for form in ("murmur128", "md5"):
             want = bloom.flag_balanced(inst, 100, k=4, policy=policy, form=form).agg(F.count_if(~F.col("is_dup")), F.count(F.lit(1))).first()
             assert bloom.count_settings(inst, [(4, 100)], policy=policy, form=form, held=5000) == [tuple(want)]
+
+
+def test_walk_over_numbered_edges_is_the_walk_by_name(spark, sf_dir, tmp_path, monkeypatch):
+    """Above 20 million directed edges each step of the walkers was a Spark job, and the graph by name was written first."""
+    edges = graphs.commerce(spark, sf_dir).persist()
+    monkeypatch.setattr(clustering, "PACKED", 5000)
+    numbered = graphs.commerce_numbered(spark, sf_dir)
+    for kw in ({"walkers": 5, "start": "degree", "steps": 60}, {"m": 0.2}):
+        want = sorted(clustering.walk(edges, seed=1, **kw).collect())
+        assert sorted(clustering.walk(numbered, seed=1, kinds=graphs.KINDS, **kw).collect()) == want
+    monkeypatch.setattr(queries, "cut", None)
+    monkeypatch.setattr(clustering, "Lists", None)
+    assert queries.QUERIES["clustering_walk_long"](spark, sf_dir).first().steps > 1000
+    edges.unpersist()
+
+
+def test_numbered_vertices_are_ordered_by_name():
+    rng = np.random.default_rng(1)
+    key = np.concatenate([[0, -1, 1, 10, 100, 12, -10, -12, (1 << 59) - 1, -(1 << 59)], rng.integers(-2000, 2000, 500), rng.integers(-(1 << 59), 1 << 59, 500)])
+    v = key * 8 + rng.integers(0, 6, len(key))
+    name = lambda x: f"{graphs.KINDS[x & 7]}{x >> 3}"
+    assert [name(x) for x in v[np.lexsort(clustering._by_name(v, graphs.KINDS))].tolist()] == sorted(map(name, v.tolist()))
