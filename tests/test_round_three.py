@@ -4,9 +4,9 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from approxdq import queries
-from approxdq.experiments import ladder
-from approxdq.operators import bloom, clustering, conciseness
-from approxdq.plans import graphs
+from approxdq.experiments import _ladder_links, ladder
+from approxdq.operators import bloom, clustering, conciseness, links
+from approxdq.plans import graphs, mappings
 
 
 def stream(spark, n, values):
@@ -119,3 +119,13 @@ def test_numbered_vertices_are_ordered_by_name():
     v = key * 8 + rng.integers(0, 6, len(key))
     name = lambda x: f"{graphs.KINDS[x & 7]}{x >> 3}"
     assert [name(x) for x in v[np.lexsort(clustering._by_name(v, graphs.KINDS))].tolist()] == sorted(map(name, v.tolist()))
+
+
+def test_look_for_a_declaration_makes_no_subjects(spark, sf_dir, monkeypatch):
+    """Items declare nothing, yet a digest of eleven columns was made for each before their triples were sifted."""
+    asked = []
+    monkeypatch.setattr(links, "from_declaration", lambda t, f=links.from_declaration: asked.append(t) or f(t))
+    for _, metric, _, _, _, make in _ladder_links(spark, "items", *(mappings.triples(spark, sf_dir, "lineitem", kind="uri", early=early) for early in (True, False))):
+        assert metric == "external_links" and make().first().denom > 0
+    plan = asked[0].where("p = 'type'").select("s")._jdf.queryExecution().optimizedPlan().toString()
+    assert len(asked) == 1 and "md5" not in plan[plan.index("Filter") :].split("Relation")[0]
